@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import bpe
+from . import bpe, mixing, neighbours, quality, simhash, toxicity, urls
 
 
 def queries() -> dict:
-    return {"op1_bpe_roundtrip": bpe.op1_bpe_roundtrip}
+    ops = (bpe.op1_bpe_roundtrip, simhash.op2_simhash_groups, mixing.op4_source_mix, quality.op5_quality_rules, urls.op6_url_filter, toxicity.op9_toxicity, neighbours.op10_nearest)
+    return {f.__name__: f for f in ops}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op4_source_mix": mixing.OP4_SQL, "op6_url_filter": urls.OP6_SQL}
