@@ -1,7 +1,8 @@
 """Toxicity by FTRL-proximal logistic regression on hashed n-grams and skip-grams.
 
-A text's features are the set of its words, of pairs of neighbours and of
-pairs one word apart, hashed into BINS bins.  Training takes a bounded sample
+A text's features are the set of its words, of pairs of neighbours, of pairs
+one word apart and of the words' stems (first STEM letters), hashed into BINS
+bins.  Training takes a bounded sample
 of labelled rows (SAMPLE, the first by a hash of the id), one at a time, with a
 learning rate per bin and an L1 pull that keeps most weights at zero; the
 nonzero ones are broadcast.  Every text is scored whole.
@@ -19,8 +20,9 @@ from .common import add_columns, arrow_pass, documents, text_or_empty
 BITS = 20
 BINS = 1 << BITS
 SAMPLE = 6_000
-EPOCHS = 4
+EPOCHS = 3
 THRESHOLD = 0.3
+STEM = 5
 EDGES = b".,;:!?'\"()[]{}<>|*$%&#@^~_+=/\\-"
 
 
@@ -35,27 +37,30 @@ class Features:
         self.hash, self.known = xxh64_intdigest, {}
 
     def words(self, text: bytes) -> np.ndarray:
+        """Hashes of the words and of their stems."""
         known, words = self.known, text.lower().split()
         if len(known) > self.MOST:
             known.clear()
         try:
-            return np.array([known[w] for w in words], np.uint64)
+            return np.array([known[w] for w in words], np.uint64).reshape(-1, 2)
         except KeyError:
             for w in words:
                 if w not in known:
-                    known[w] = self.hash(w.strip(EDGES) or w, 11)
-            return np.array([known[w] for w in words], np.uint64)
+                    bare = w.strip(EDGES) or w
+                    known[w] = (self.hash(bare, 11), self.hash(bare.decode("utf-8", "replace")[:STEM].encode(), 13))
+            return np.array([known[w] for w in words], np.uint64).reshape(-1, 2)
 
     def bins(self, text: bytes) -> np.ndarray:
         """All bins, repeats included; a constant one comes first."""
-        w = self.words(text)
+        both = self.words(text)
+        w, stems = both[:, 0], both[:, 1]
         near = (w[:-1] * np.uint64(0x9E3779B97F4A7C15)) ^ (w[1:] + np.uint64(0xA0761D6478BD642F))
         apart = (w[:-2] * np.uint64(0xE7037ED1A0B428DB)) ^ (w[2:] + np.uint64(0x8EBC6AF09C88C6E3))
-        mixed = np.concatenate((w, near, apart)) * np.uint64(0xD6E8FEB86659FD93)
+        mixed = np.concatenate((w, near, apart, stems)) * np.uint64(0xD6E8FEB86659FD93)
         return np.concatenate(([0], (mixed >> np.uint64(64 - BITS)).astype(np.int64)))
 
 
-def train(rows: list[tuple[np.ndarray, int]], alpha: float = 0.1, beta: float = 1.0, l1: float = 0.6, l2: float = 0.5, epochs: int = EPOCHS) -> np.ndarray:
+def train(rows: list[tuple[np.ndarray, int]], alpha: float = 0.5, beta: float = 1.0, l1: float = 5.0, l2: float = 0.5, epochs: int = EPOCHS) -> np.ndarray:
     """Weights of all bins after some passes over (distinct bins, label) rows in the given order."""
     z, n = np.zeros(BINS), np.zeros(BINS)
 
