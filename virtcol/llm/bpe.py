@@ -14,6 +14,7 @@ from __future__ import annotations
 import hashlib
 import json
 import struct
+import uuid
 
 import ahocorasick
 import numpy as np
@@ -21,7 +22,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from tokenizers import Tokenizer
 
-from .common import add_columns, documents
+from .common import add_columns, documents, per_process
 
 #: Stands for the vocabulary's end-of-word suffix; byte-level text never holds it.
 END = ""
@@ -213,8 +214,10 @@ def encode(docs: DataFrame, tokenizer: str | None = None, text_col: str = "text"
     """
     shared = docs.sparkSession.sparkContext.broadcast(tables(vocabulary(tokenizer)))
 
+    token = uuid.uuid4().hex
+
     def make():
-        encoder = WordEncoder(shared.value)
+        encoder = per_process("bpe", token, lambda: WordEncoder(shared.value))
 
         def work(texts: list[bytes]) -> list:
             got = [encoder.encode(t.decode("utf-8", "replace")) for t in texts]

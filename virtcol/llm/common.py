@@ -121,3 +121,15 @@ def add_columns(df: DataFrame, text_col: str, fields: str, make: Callable[[], Ca
 def bounded_broadcast(df: DataFrame, most: int) -> DataFrame:
     """df marked for broadcast if it has at most so many rows; else as it is, and Spark joins by shuffle."""
     return F.broadcast(df) if df.limit(most + 1).count() <= most else df
+
+
+def per_process(name: str, token: str, build: Callable):
+    """What build() makes, once for all tasks of a Python worker with the same token; a new token replaces the old one's."""
+    import sys
+    import types
+
+    own = sys.modules.setdefault("_virtcol_process", types.ModuleType("_virtcol_process"))
+    held = vars(own).setdefault("held", {})
+    if held.get(name, ("",))[0] != token:
+        held[name] = (token, build())
+    return held[name][1]
