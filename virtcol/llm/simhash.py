@@ -6,8 +6,8 @@ nonzero vector.  At most `radius` differing bits span less than the whole
 space, so some table's vector is orthogonal to all of them: that table drops
 every differing bit and the pair meets there.  No pair is missed.
 
-Inside a table nothing is paired.  A bucket of two is settled from its least
-and largest member; the members of larger buckets go on to balls: for an even
+A bucket of two is settled from its least and largest member, one of at most
+SMALL by comparing its few.  No larger bucket is paired: its members go on to balls: for an even
 radius 2t two fingerprints are within reach exactly if their balls of radius t
 share a point, and a point's ball holds a fixed number of fingerprints.
 """
@@ -25,6 +25,8 @@ from .components import components
 
 SEED = 42
 BITS = 64
+#: Buckets of up to so many fingerprints are compared pair by pair; larger ones by balls.
+SMALL = 8
 
 
 def fingerprint(text: bytes, words: int, xxh64) -> int:
@@ -75,7 +77,10 @@ def links(prints: DataFrame, radius: int, scratch: Scratch) -> DataFrame:
     buckets = scratch.keep(dealt.groupBy("table", "rest").agg(F.count("*").alias("n"), F.min("simhash").alias("v"), F.max("simhash").alias("u")).where("n > 1"), "buckets")
     near = F.bit_count(F.col("u").bitwiseXOR(F.col("v"))) <= radius
     pairs = buckets.where(F.col("n") == 2).where(near).select("u", "v")
-    crowded = dealt.join(buckets.where(F.col("n") > 2).select("table", "rest"), ["table", "rest"], "left_semi").select("simhash").distinct()
+    few = dealt.join(buckets.where((F.col("n") > 2) & (F.col("n") <= SMALL)).select("table", "rest"), ["table", "rest"], "left_semi").groupBy("table", "rest").agg(F.sort_array(F.collect_set("simhash")).alias("all"))
+    each_two = few.select("all", F.posexplode("all").alias("i", "u")).select("u", F.explode(F.slice("all", 1, F.col("i"))).alias("v")).where(near)
+    pairs = pairs.union(each_two)
+    crowded = dealt.join(buckets.where(F.col("n") > SMALL).select("table", "rest"), ["table", "rest"], "left_semi").select("simhash").distinct()
     flips = [signed(sum(1 << b for b in c)) for t in range(radius // 2 + 1) for c in combinations(range(BITS), t)]
     points = crowded.select("simhash", F.explode(F.transform(F.array(*map(F.lit, flips)), lambda x: F.col("simhash").bitwiseXOR(x))).alias("point"))
     shared = points.groupBy("point").agg(F.collect_set("simhash").alias("all")).where(F.size("all") > 1)  # a ball's size bounds the set
@@ -106,3 +111,18 @@ def near_duplicates(docs: DataFrame, words: int = 5, radius: int = 2, id_col: st
 def op2_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = near_duplicates(documents(spark, sf_dir), words=3, radius=2)
     return out.select("doc_id", F.lower(F.lpad(F.hex("simhash"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def representatives(docs: DataFrame, words: int = 5, radius: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of each group: that with the least id, or any one of the rows that share it; groups without an id keep one row.
+
+    Only ids, fingerprints and row keys are grouped; texts are joined once, to the rows that stay.
+    """
+    from .common import row_key
+
+    scratch = Scratch(docs.sparkSession, "simhash")
+    marked = fingerprints(docs.select(F.col(id_col), F.col(text_col), row_key(id_col, text_col).alias("__key")), words, text_col)
+    kept = scratch.keep(marked.select(id_col, "simhash", "__key"), "prints")
+    grouped = groups(kept, scratch, radius, id_col)
+    stay = grouped.groupBy(F.coalesce(F.col("component_id").cast("string"), F.lit("null")).alias("g")).agg(F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")).select("__key").distinct()
+    return docs.withColumn("__key", row_key(id_col, text_col)).join(stay, "__key", "left_semi").dropDuplicates(["__key"]).drop("__key")
