@@ -16,8 +16,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the least id stays."""
-    return simhash.representatives(docs, words=5, radius=4).select(*docs.columns)
+    """Of each group of near copies (five-word shingles, similarity 0.8) the document with the least id stays."""
+    return simhash.representatives(docs, words=5, radius=2, similarity=0.8).select(*docs.columns)
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

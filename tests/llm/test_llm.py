@@ -217,10 +217,59 @@ def test_neighbours(spark):
     assert neighbours.nearest(df.limit(0)).count() == 0
 
 
+def brute_groups(texts: dict, similarity: float) -> dict:
+    """Least id of each id's group, by comparing all pairs."""
+    sets = {}
+    for i, t in texts.items():
+        w = (t or "").encode().lower().split()
+        sets[i] = frozenset(tuple(w[a : a + 5]) for a in range(len(w) - 4)) or frozenset([tuple(w)] if w else [])
+    ids, root = sorted(sets), {i: i for i in sets}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for n, i in enumerate(ids):
+        for j in ids[:n]:
+            a, b = sets[i], sets[j]
+            small, large = sorted((len(a), len(b)))
+            if (small >= similarity * large and (shared := len(a & b)) >= similarity * (small + large - shared)) or a == b:
+                x, y = sorted((find(i), find(j)))
+                root[y] = x
+    return {i: find(i) for i in ids}
+
+
+def test_representatives_are_those_of_all_pairs(spark):
+    docs = spark.read.parquet(f"{SF.replace('0.001', '0.01')}/documents.parquet")
+    want = set(brute_groups({r["doc_id"]: r["text"] for r in docs.collect()}, 0.8).values())
+    got = [r[0] for r in simhash.representatives(docs).select("doc_id").collect()]
+    assert len(got) == len(set(got)) < docs.count() and set(got) == want
+
+
+def test_representatives_of_a_large_group(spark):
+    """Altered copies of one text, each like the text but hardly like each other, beside texts that share one passage."""
+    rng = random.Random(8)
+    words = lambda n: [f"w{rng.randrange(10**6)}" for _ in range(n)]
+    base, passage, rows = words(200), words(30), {}
+    for i in range(120):
+        x = list(base)
+        for at in rng.sample(range(200), 4):
+            x[at] = f"x{rng.randrange(10**6)}"
+        rows[i + 1] = " ".join(x)
+    rows[500] = " ".join(base)
+    for i in range(120):
+        rows[1000 + i] = " ".join([*words(40), *passage, *words(40)])
+    want = set(brute_groups(rows, 0.8).values())
+    df = spark.createDataFrame(list(rows.items()), "doc_id long, text string")
+    assert {r[0] for r in simhash.representatives(df).select("doc_id").collect()} == want
+
+
 def test_odd_rows_everywhere(spark, odd):
     labels = spark.createDataFrame([(1, 1, 0), (5, 0, 1), (None, 1, 1), (7, None, None)], "doc_id long, quality int, toxic int")
     n = odd.count()
     assert bpe.encode(odd).count() == n and mixing.mix(odd).count() == n and simhash.near_duplicates(odd).count() == n
+    assert simhash.representatives(odd).count() == 5 and simhash.representatives(odd).columns == odd.columns
     replaced = pii.replace(odd)
     assert replaced.count() == n and replaced.where("text IS NULL").count() == 1 and replaced.columns[:7] == odd.columns
     judged = quality.judge(odd, labels)
@@ -232,7 +281,7 @@ def test_odd_rows_everywhere(spark, odd):
 def test_empty_tables(spark, odd):
     none = odd.limit(0)
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
-    for out in (bpe.encode(none), mixing.mix(none), simhash.near_duplicates(none), pii.replace(none), quality.judge(none, labels), toxicity.score(none, toxicity.fit(none, labels)), lm.score(none), suffixes.cut_repeats(none)):
+    for out in (bpe.encode(none), mixing.mix(none), simhash.near_duplicates(none), simhash.representatives(none), pii.replace(none), quality.judge(none, labels), toxicity.score(none, toxicity.fit(none, labels)), lm.score(none), suffixes.cut_repeats(none)):
         assert out.count() == 0
 
 

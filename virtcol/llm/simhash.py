@@ -10,6 +10,11 @@ A bucket of two is settled from its least and largest member, one of at most
 SMALL by comparing its few.  No larger bucket is paired: its members go on to balls: for an even
 radius 2t two fingerprints are within reach exactly if their balls of radius t
 share a point, and a point's ball holds a fixed number of fingerprints.
+
+No radius that can be afforded guarantees texts of similarity 0.8 to meet:
+their fingerprints differ in about ten bits.  representatives() therefore takes
+further candidates from bands of MinHash values and links any candidate only if
+the exact similarity of the two shingle sets is high enough.
 """
 
 from __future__ import annotations
@@ -17,28 +22,37 @@ from __future__ import annotations
 from itertools import combinations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, add_columns, documents
+from .common import Scratch, add_columns, arrow_pass, documents, row_key
 from .components import components
 
 SEED = 42
 BITS = 64
 #: Buckets of up to so many fingerprints are compared pair by pair; larger ones by balls.
 SMALL = 8
+#: MinHash bands and values in each: texts of similarity 0.8 share a band with probability 0.9998.
+BANDS, ROWS = 16, 4
+#: Shares into which the pairs of one text are split where its shingles are joined to them.
+SALTS = 32
 
 
-def fingerprint(text: bytes, words: int, xxh64) -> int:
-    """SimHash of a UTF-8 text: A-Z lower-cased, shingles of so many words, repeats included; a bit is set if over half the hashes have it."""
+def shingle_hashes(text: bytes, words: int, xxh64) -> np.ndarray:
+    """Hashes of a UTF-8 text's shingles of so many words, A-Z lower-cased, repeats included; fewer words make one shingle, none makes none."""
     w = text.lower().split()
     if not w:
-        return 0
+        return np.zeros(0, np.uint64)
     buf = b" ".join(w)
     ends = np.cumsum(np.fromiter(map(len, w), np.int64, len(w)) + 1) - 1
     starts = np.concatenate(([0], ends[:-1] + 1))
     k = min(words, len(w))
-    hashes = np.array([xxh64(buf[a:b], SEED) for a, b in zip(starts[: len(w) - k + 1].tolist(), ends[k - 1 :].tolist())], np.uint64)
+    return np.array([xxh64(buf[a:b], SEED) for a, b in zip(starts[: len(w) - k + 1].tolist(), ends[k - 1 :].tolist())], np.uint64)
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits that over half the hashes have; 0 for no hashes."""
     ones = np.zeros(BITS, np.int64)
     for at in range(0, len(hashes), 32768):
         part = hashes[at : at + 32768].astype("<u8").view(np.uint8).reshape(-1, 8)
@@ -46,6 +60,11 @@ def fingerprint(text: bytes, words: int, xxh64) -> int:
     return int.from_bytes(np.packbits(2 * ones > len(hashes), bitorder="little").tobytes(), "little")
 
 
+def fingerprint(text: bytes, words: int, xxh64) -> int:
+    """SimHash of a UTF-8 text."""
+    return majority(shingle_hashes(text, words, xxh64))
+
+
 def fingerprints(docs: DataFrame, words: int = 5, text_col: str = "text") -> DataFrame:
     """docs with simhash (the 64 bits as a signed long). Null and wordless texts: 0."""
 
@@ -113,16 +132,108 @@ def op2_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.lower(F.lpad(F.hex("simhash"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def representatives(docs: DataFrame, words: int = 5, radius: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row of each group: that with the least id, or any one of the rows that share it; groups without an id keep one row.
+def least_values(hashes: np.ndarray) -> np.ndarray:
+    """BANDS * ROWS MinHash values of distinct hashes; zeros for none."""
+    rng = np.random.default_rng(SEED)
+    times = rng.integers(0, 1 << 63, (BANDS * ROWS, 1), np.uint64) * np.uint64(2) + np.uint64(1)
+    plus = rng.integers(0, 1 << 63, (BANDS * ROWS, 1), np.uint64)
+    least = np.full(BANDS * ROWS, np.iinfo(np.uint64).max if len(hashes) else 0, np.uint64)
+    for at in range(0, len(hashes), 2048):
+        np.minimum(least, ((hashes[at : at + 2048] * times + plus) >> np.uint64(24)).min(axis=1), out=least)
+    return least
+
+
+def sketches(docs: DataFrame, words: int, text_col: str = "text") -> DataFrame:
+    """docs with simhash, node (a 64-bit digest of the shingle set: equal sets, equal nodes), bands (MinHash band keys) and shingles (the set, 32 bits each, sorted)."""
+
+    def make():
+        from xxhash import xxh64_intdigest
+
+        def work(texts: list[bytes]) -> list:
+            prints, nodes, bands, sets = [], [], [], []
+            for t in texts:
+                hashes = shingle_hashes(t, words, xxh64_intdigest)
+                prints.append(signed(majority(hashes)))
+                hashes = np.unique(hashes)
+                nodes.append(signed(xxh64_intdigest(hashes.tobytes(), SEED)))
+                least = least_values(hashes).reshape(BANDS, ROWS)
+                bands.append([signed(xxh64_intdigest(row.tobytes(), i)) for i, row in enumerate(least)])
+                sets.append(np.unique((hashes >> np.uint64(32)).astype("<u4")).tobytes())
+            return [prints, nodes, bands, sets]
+
+        return work
+
+    return add_columns(docs, text_col, "simhash long, node long, bands array<long>, shingles binary", make)
 
-    Only ids, fingerprints and row keys are grouped; texts are joined once, to the rows that stay.
+
+def band_pairs(nodes: DataFrame, scratch: Scratch) -> DataFrame:
+    """Candidates (u, v) from nodes (node, bands).
+
+    The members of a band of at most SMALL are paired.  In a larger one each
+    member is paired with three: that whose bands are the most crowded, which
+    in a group of altered copies is the text nearest to all, the least and the
+    largest.  Members of one group share many bands, so they meet in others too.
     """
-    from .common import row_key
+    dealt = scratch.keep(nodes.select("node", F.explode("bands").alias("band")), "bands")
+    sizes = scratch.keep(dealt.groupBy("band").agg(F.count("*").alias("n"), F.min("node").alias("lo"), F.max("node").alias("hi")).where("n > 1"), "sizes")
+    two = sizes.where("n = 2").select(F.col("hi").alias("u"), F.col("lo").alias("v"))
+    few = dealt.join(sizes.where(F.col("n").between(3, SMALL)).select("band"), "band", "left_semi").groupBy("band").agg(F.sort_array(F.collect_set("node")).alias("all"))
+    each_two = few.select("all", F.posexplode("all").alias("i", "u")).select("u", F.explode(F.slice("all", 1, F.col("i"))).alias("v"))
+    crowded = dealt.join(sizes.where(F.col("n") > SMALL), "band")
+    weight = crowded.groupBy("node").agg(F.sum("n").alias("weight"))
+    heads = crowded.select("node", "band").join(weight, "node").groupBy("band").agg(F.max_by("node", F.struct("weight", "node")).alias("head"))
+    stars = crowded.join(heads, "band").select(F.explode(F.array_distinct(F.array("head", "lo", "hi"))).alias("u"), F.col("node").alias("v")).where("u <> v")
+    return two.union(each_two).union(stars)
+
+
+def simhash_pairs(prints: DataFrame, radius: int, scratch: Scratch) -> DataFrame:
+    """Candidates (u, v) from (node, simhash): texts of one fingerprint with its least text, and least texts of fingerprints within the radius."""
+    least = scratch.keep(prints.groupBy("simhash").agg(F.min("node").alias("least")), "least")
+    same = prints.join(least, "simhash").select(F.col("least").alias("u"), F.col("node").alias("v")).where("u <> v")
+    ends = links(least.select("simhash"), radius, scratch)
+    for side in "uv":
+        ends = ends.join(least.select(F.col("simhash").alias(side), F.col("least").alias(f"node_{side}")), side)
+    return same.union(ends.select(F.col("node_u").alias("u"), F.col("node_v").alias("v")))
+
+
+def alike(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (u, v) whose sets (node, shingles) have that Jaccard similarity or more; two empty sets are alike."""
+    pairs = pairs.withColumn("salt", F.pmod(F.xxhash64("v"), F.lit(SALTS)))
+    left = pairs.select("u", "salt").distinct().join(sets.select(F.col("node").alias("u"), F.col("shingles").alias("a")), "u")
+    both = pairs.join(sets.select(F.col("node").alias("v"), F.col("shingles").alias("b")), "v").join(left, ["u", "salt"])
+
+    def make():
+        def each(batch: pa.RecordBatch) -> pa.RecordBatch:
+            keep = []
+            for a, b in zip(batch.column(2), batch.column(3)):
+                x, y = np.frombuffer(a.as_buffer(), "<u4"), np.frombuffer(b.as_buffer(), "<u4")
+                small, large = sorted((len(x), len(y)))
+                if small < similarity * large:
+                    keep.append(False)
+                    continue
+                shared = len(np.intersect1d(x, y, assume_unique=True))
+                keep.append(shared >= similarity * (small + large - shared))
+            return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["u", "v"]).filter(pa.array(keep, pa.bool_()))
+
+        return each
+
+    return arrow_pass(both.select("u", "v", "a", "b"), "u long, v long", make)
 
+
+def representatives(docs: DataFrame, words: int = 5, radius: int = 2, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of each group of texts joined by pairs of that similarity: that with the least id, or any one of the rows that share it; groups without an id keep one row.
+
+    Null and wordless texts are one group.  Shingle sets are joined to candidates only; texts once, to the rows that stay.
+    """
     scratch = Scratch(docs.sparkSession, "simhash")
-    marked = fingerprints(docs.select(F.col(id_col), F.col(text_col), row_key(id_col, text_col).alias("__key")), words, text_col)
-    kept = scratch.keep(marked.select(id_col, "simhash", "__key"), "prints")
-    grouped = groups(kept, scratch, radius, id_col)
-    stay = grouped.groupBy(F.coalesce(F.col("component_id").cast("string"), F.lit("null")).alias("g")).agg(F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")).select("__key").distinct()
+    marked = sketches(docs.select(F.col(id_col), F.col(text_col), row_key(id_col, text_col).alias("__key")), words, text_col)
+    kept = scratch.keep(marked.drop(text_col), "sketches")
+    nodes = scratch.keep(kept.groupBy("node").agg(F.first("bands").alias("bands"), F.min("simhash").alias("simhash"), F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")), "nodes")
+    pairs = scratch.keep(band_pairs(nodes, scratch).union(simhash_pairs(nodes, radius, scratch)).distinct(), "pairs")
+    needed = pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct()
+    holders = nodes.select("node", "__key").join(needed, "node", "left_semi")
+    sets = scratch.keep(kept.select("__key", "shingles").join(holders, "__key").select("node", "shingles").dropDuplicates(["node"]), "sets")
+    roots = scratch.keep(components(alike(pairs, sets, similarity), scratch), "roots")
+    named = kept.select(id_col, "__key", "node").join(roots, "node", "left").select(id_col, "__key", F.coalesce("root", "node").alias("g"))
+    stay = named.groupBy("g").agg(F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")).select("__key").distinct()
     return docs.withColumn("__key", row_key(id_col, text_col)).join(stay, "__key", "left_semi").dropDuplicates(["__key"]).drop("__key")
