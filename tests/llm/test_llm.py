@@ -265,6 +265,33 @@ def test_representatives_of_a_large_group(spark):
     assert {r[0] for r in simhash.representatives(df).select("doc_id").collect()} == want
 
 
+def test_crowded_bands_lose_no_pair(spark):
+    """Sets in one band that nothing has compared yet: rest_pairs() must find all that are alike, and few others."""
+    rng = np.random.default_rng(12)
+    passage, sets = rng.integers(0, 2**32, 60, np.uint64), {}
+    for g in range(25):
+        base = np.concatenate((passage, rng.integers(0, 2**32, rng.integers(40, 120), np.uint64)))
+        for k in range(4):
+            own = base[rng.random(len(base)) > 0.06 * k]
+            sets[g * 10 + k] = np.unique(np.concatenate((own, rng.integers(0, 2**32, 4 * k, np.uint64))).astype("<u4"))
+    sets[900], sets[901] = np.arange(10, dtype="<u4"), np.arange(8, dtype="<u4")  # similarity of exactly 0.8
+    sets[902] = np.zeros(0, "<u4")
+    want = set()
+    for u in sets:
+        for v in sets:
+            shared = len(np.intersect1d(sets[u], sets[v]))
+            if u > v and shared and shared >= 0.8 * (len(sets[u]) + len(sets[v]) - shared):
+                want.add((u, v))
+    scratch = Scratch(spark, "test")
+    crowded = spark.createDataFrame([(i, 1) for i in sets] + [(7, 2)], "node long, band long")
+    rows = spark.createDataFrame([(i, bytearray(x.tobytes())) for i, x in sets.items()], "node long, shingles binary").repartition(3)
+    none = spark.createDataFrame([], "node long, root long")
+    got = {tuple(r) for r in simhash.rest_pairs(crowded, none, rows, 0.8, scratch).collect()}
+    assert len(want) > 50 and want <= got and len(got) < 4 * len(want)
+    joined = spark.createDataFrame([(i, i // 10) for i in sets], "node long, root long")
+    assert {tuple(r) for r in simhash.rest_pairs(crowded, joined, rows, 0.8, scratch).collect()} <= {(u, v) for u, v in got if u // 10 != v // 10}
+
+
 def test_odd_rows_everywhere(spark, odd):
     labels = spark.createDataFrame([(1, 1, 0), (5, 0, 1), (None, 1, 1), (7, None, None)], "doc_id long, quality int, toxic int")
     n = odd.count()

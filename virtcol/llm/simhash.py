@@ -14,7 +14,10 @@ share a point, and a point's ball holds a fixed number of fingerprints.
 No radius that can be afforded guarantees texts of similarity 0.8 to meet:
 their fingerprints differ in about ten bits.  representatives() therefore takes
 further candidates from bands of MinHash values and links any candidate only if
-the exact similarity of the two shingle sets is high enough.
+the exact similarity of the two shingle sets is high enough.  Members of a
+crowded band are compared with a few of it first; those that are then still
+apart meet through their rarest shingles, of which any pair alike enough
+shares one.
 """
 
 from __future__ import annotations
@@ -23,7 +26,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import Scratch, add_columns, arrow_pass, documents, row_key
@@ -166,24 +169,69 @@ def sketches(docs: DataFrame, words: int, text_col: str = "text") -> DataFrame:
     return add_columns(docs, text_col, "simhash long, node long, bands array<long>, shingles binary", make)
 
 
-def band_pairs(nodes: DataFrame, scratch: Scratch) -> DataFrame:
-    """Candidates (u, v) from nodes (node, bands).
+def band_pairs(nodes: DataFrame, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """Candidates (u, v) from nodes (node, bands), and the members (node, band) of bands that are not paired in full.
 
     The members of a band of at most SMALL are paired.  In a larger one each
     member is paired with three: that whose bands are the most crowded, which
     in a group of altered copies is the text nearest to all, the least and the
-    largest.  Members of one group share many bands, so they meet in others too.
+    largest.  rest_pairs() finds what those miss.
     """
     dealt = scratch.keep(nodes.select("node", F.explode("bands").alias("band")), "bands")
     sizes = scratch.keep(dealt.groupBy("band").agg(F.count("*").alias("n"), F.min("node").alias("lo"), F.max("node").alias("hi")).where("n > 1"), "sizes")
     two = sizes.where("n = 2").select(F.col("hi").alias("u"), F.col("lo").alias("v"))
     few = dealt.join(sizes.where(F.col("n").between(3, SMALL)).select("band"), "band", "left_semi").groupBy("band").agg(F.sort_array(F.collect_set("node")).alias("all"))
     each_two = few.select("all", F.posexplode("all").alias("i", "u")).select("u", F.explode(F.slice("all", 1, F.col("i"))).alias("v"))
-    crowded = dealt.join(sizes.where(F.col("n") > SMALL), "band")
+    crowded = scratch.keep(dealt.join(sizes.where(F.col("n") > SMALL), "band"), "crowded")
     weight = crowded.groupBy("node").agg(F.sum("n").alias("weight"))
     heads = crowded.select("node", "band").join(weight, "node").groupBy("band").agg(F.max_by("node", F.struct("weight", "node")).alias("head"))
     stars = crowded.join(heads, "band").select(F.explode(F.array_distinct(F.array("head", "lo", "hi"))).alias("u"), F.col("node").alias("v")).where("u <> v")
-    return two.union(each_two).union(stars)
+    return two.union(each_two).union(stars), crowded.select("node", "band")
+
+
+def rest_pairs(crowded: DataFrame, roots: DataFrame, sets: DataFrame, similarity: float, scratch: Scratch) -> DataFrame:
+    """Candidates (u, v) among members (node, band) of bands that hold more than one component of roots (node, root).
+
+    Every pair of different components with that similarity is among them.  In an order of shingles that puts rare ones
+    first, the first shingle that such a pair shares stands early in both: as many as must be shared come at or after it.
+    Shingles of one set only are counted, not joined.
+    """
+    of = crowded.join(roots, "node", "left").select("node", "band", F.coalesce("root", "node").alias("root"))
+    open_bands = of.groupBy("band").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("band")
+    members = of.join(open_bands, "band", "left_semi").select("node", "root").distinct()
+
+    def make():
+        def each(batch: pa.RecordBatch):
+            held, size = [], 0
+
+            def out() -> pa.RecordBatch:
+                heads = np.array([h[:2] for h in held], np.int64)
+                lengths = np.array([len(h[2]) for h in held])
+                columns = [np.repeat(heads[:, 0], lengths), np.repeat(heads[:, 1], lengths), np.repeat(lengths.astype(np.int32), lengths), np.concatenate([h[2] for h in held])]
+                return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["node", "root", "size", "shingle"])
+
+            for node, root, shingles in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)):
+                held.append((node, root, np.frombuffer(shingles.as_buffer(), "<i4")))
+                size += len(held[-1][2])
+                if size > 100_000:
+                    yield out()
+                    held, size = [], 0
+            if size:
+                yield out()
+
+        return each
+
+    given = sets.join(members, "node").select("node", "root", "shingles")
+    dealt = scratch.keep(arrow_pass(given, "node long, root long, size int, shingle int", make), "dealt")
+    often = dealt.groupBy("shingle").agg(F.count("*").alias("n"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("n > 1")
+    per = Window.partitionBy("node")
+    place = F.col("size") - F.count("*").over(per) + F.row_number().over(per.orderBy("n", "shingle"))  # from 1; shingles of one set only come first
+    early = dealt.join(often, "shingle").withColumn("after", F.col("size") - place + 1).where("lo <> hi").where(F.col("after") >= similarity * F.col("size") - 1e-6)
+    early = scratch.keep(early.select("shingle", "node", "root", "size", "after"), "early")
+    a, b = (early.select("shingle", *(F.col(c).alias(f"{c}_{side}") for c in ("node", "root", "size", "after"))) for side in "uv")
+    enough = F.least("after_u", "after_v") >= similarity / (1 + similarity) * (F.col("size_u") + F.col("size_v")) - 1e-6
+    met = a.join(b, "shingle").where((F.col("node_u") > F.col("node_v")) & (F.col("root_u") != F.col("root_v")) & enough)
+    return met.select(F.col("node_u").alias("u"), F.col("node_v").alias("v")).distinct()
 
 
 def simhash_pairs(prints: DataFrame, radius: int, scratch: Scratch) -> DataFrame:
@@ -229,11 +277,16 @@ def representatives(docs: DataFrame, words: int = 5, radius: int = 2, similarity
     marked = sketches(docs.select(F.col(id_col), F.col(text_col), row_key(id_col, text_col).alias("__key")), words, text_col)
     kept = scratch.keep(marked.drop(text_col), "sketches")
     nodes = scratch.keep(kept.groupBy("node").agg(F.first("bands").alias("bands"), F.min("simhash").alias("simhash"), F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")), "nodes")
-    pairs = scratch.keep(band_pairs(nodes, scratch).union(simhash_pairs(nodes, radius, scratch)).distinct(), "pairs")
+    banded, crowded = band_pairs(nodes, scratch)
+    pairs = scratch.keep(banded.union(simhash_pairs(nodes, radius, scratch)).distinct(), "pairs")
     needed = pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct()
     holders = nodes.select("node", "__key").join(needed, "node", "left_semi")
     sets = scratch.keep(kept.select("__key", "shingles").join(holders, "__key").select("node", "shingles").dropDuplicates(["node"]), "sets")
     roots = scratch.keep(components(alike(pairs, sets, similarity), scratch), "roots")
+    rest = scratch.keep(rest_pairs(crowded, roots, sets, similarity, scratch), "rest")
+    more = scratch.keep(alike(rest, sets, similarity), "more")
+    if not more.isEmpty():
+        roots = scratch.keep(components(roots.select(F.col("node").alias("u"), F.col("root").alias("v")).union(more), scratch), "roots")
     named = kept.select(id_col, "__key", "node").join(roots, "node", "left").select(id_col, "__key", F.coalesce("root", "node").alias("g"))
     stay = named.groupBy("g").agg(F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")).select("__key").distinct()
     return docs.withColumn("__key", row_key(id_col, text_col)).join(stay, "__key", "left_semi").dropDuplicates(["__key"]).drop("__key")
