@@ -171,6 +171,25 @@ def test_attention_gradient():
     assert math.isclose(sum(10 ** classes.share[classes.cls == classes.cls[0]]), 1, rel_tol=1e-9)
 
 
+def lm_parts(spark, texts):
+    """What lm.train() takes, for a few texts: their table, classes, vocabulary and the ids of each."""
+    table = spark.sparkContext.broadcast(lm.ranks())
+    subwords = lm.Subwords(table.value)
+    ids = [[i for w in t.encode().lower().split() for i in subwords.word(w)] for t in texts]
+    counts = np.bincount(np.concatenate([np.array(x, np.int64) for x in ids]), minlength=subwords.size).astype(float)
+    counts[subwords.end] = len(texts)
+    return spark.createDataFrame([(t,) for t in texts], "text string").repartition(3), lm.Classes(counts), table, ids
+
+
+def test_lm_trains_on_every_id(spark):
+    """Texts of all lengths, among them ones far over a batch of windows, are read to their last id."""
+    rng = random.Random(11)
+    texts = ["", " ", "one", *(" ".join(rng.choice("the cat sat on a mat and ran".split()) for _ in range(n)) for n in (7, 95, 96, 97, 700, 5_000, 40_000))]
+    df, classes, table, ids = lm_parts(spark, texts)
+    _, seen = lm.train(df, classes, table, "test_every_id")
+    assert seen == sum(map(len, ids))
+
+
 def test_lm_base_score(spark):
     from zlib import crc32
 
