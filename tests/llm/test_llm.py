@@ -190,6 +190,17 @@ def test_lm_trains_on_every_id(spark):
     assert seen == sum(map(len, ids))
 
 
+def test_lm_warm_up_reads_whole_distinct_texts(spark):
+    """Copies count once, and a long text's segments come from all its places in proportion."""
+    long = " ".join(f"t{i}" for i in range(96 * 2_000))
+    rows = [*["copy of one text"] * 3_000, long, *(f"own text {i}" for i in range(500))]
+    got = lm.warm_segments(spark.createDataFrame([(t,) for t in rows], "text string").repartition(3), 400)
+    words = [bytes(r["words"]) for r in got]
+    at = [int(w.split()[0][1:]) // 96 for w in words if w.startswith(b"t")]
+    assert len(words) == len(set(words)) == 400 and words.count(b"copy of one text") <= 1
+    assert 280 <= len(at) <= 355 and all(0.5 * len(at) / 4 < sum(i // 500 == q for i in at) < 1.5 * len(at) / 4 for q in range(4))
+
+
 def test_lm_base_score(spark):
     from zlib import crc32
 
