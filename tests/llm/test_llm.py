@@ -187,7 +187,16 @@ def test_lm_trains_on_every_id(spark):
     texts = ["", " ", "one", *(" ".join(rng.choice("the cat sat on a mat and ran".split()) for _ in range(n)) for n in (7, 95, 96, 97, 700, 5_000, 40_000))]
     df, classes, table, ids = lm_parts(spark, texts)
     _, seen = lm.train(df, classes, table, "test_every_id")
-    assert seen == sum(map(len, ids))
+    assert seen == sum(len(x) + 1 for x in ids)  # each text's end is an id to learn
+
+
+def test_lm_rare_ids_share_bins_of_like_mass():
+    counts = np.floor(1e7 / np.arange(1, 50_001))
+    bins = lm.Classes(counts).bin
+    own = lm.INPUTS - 1 - lm.SHARED
+    mass = np.bincount(bins, weights=counts + 0.5, minlength=lm.INPUTS)
+    assert sorted(bins[:own]) == list(range(own)) and mass[-1] == 0
+    assert mass[own:-1].max() < 1.5 * mass[own:-1].mean() and mass[own:-1].min() > 0.5 * mass[own:-1].mean()
 
 
 def test_lm_warm_up_reads_whole_distinct_texts(spark):
