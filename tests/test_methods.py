@@ -102,6 +102,31 @@ def test_engine(spark):
     assert m.answers(tiny(spark), "f") == m.answers(tiny(spark), "f") and m.asked == 8
 
 
+def test_taxonomy_groups(spark):
+    """Categories come from the few rows of the taxonomy; rows may fit several, or none."""
+    rows = [(i, t, s) for i, (t, s) in enumerate([("red", "a"), ("red blue", "b"), ("blue", "c"), ("green", "a"), ("", "b"), ("red", "c")] * 4)]
+    df = spark.createDataFrame(rows, "id long, text string, g string")
+    sql = 'SELECT k, COUNT(*) AS n FROM t GROUP BY "colours" AS k'
+    labels = {"colours": "filter(split(text, ' '), x -> x <> '')"}
+    whole = Engine(spark, RuleModel({}), Costs(100, 100))
+    whole.register("t", df, TableInfo("id", "text", labels=labels, stratum="g"))
+    assert {tuple(r) for r in whole.sql(sql).df.collect()} == {("red", 12.0), ("blue", 8.0), ("green", 4.0), ("none", 4.0)}
+    few = Engine(spark, RuleModel({}), Costs(23, 23, taxonomy_rows=1))
+    few.register("t", df, TableInfo("id", "text", labels=labels, stratum="g"))
+    got = few.sql(sql)
+    found = {r["k"]: r["n"] for r in got.df.collect()}
+    assert "none" in found and len(found) < 4 and 23 < sum(found.values()) < 29 and got.meter.calls == 24
+
+    def fn(prompt, text):
+        return "red | | 2\nblue | | 1" if "Group the records" in prompt else ", ".join(str(i) for i, c in enumerate(["red", "blue"]) if c in (text or ""))
+
+    from virtcol.model.base import CallableModel
+
+    asked = Engine(spark, CallableModel(fn, "text"), Costs(100, 100))
+    asked.register("t", df, TableInfo("id", "text", stratum="g"))
+    assert {tuple(r) for r in asked.sql(sql).df.collect()} == {("red", 12.0), ("blue", 8.0), ("none", 8.0)}
+
+
 def test_measures():
     d = lambda a, b: float(a != b)
     assert metrics.emd([("a", 7), ("b", 3)], [("a", 14), ("b", 6)], d) == 0

@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .index import features as feats
-from .index.sample import WeightedFrame, draw, allocate, estimate, strata_sizes
+from .index.sample import WeightedFrame, draw, allocate, estimate, md5_key, strata_sizes
 from .index.search import active_search, ordered_probe
 from .lang.parser import Agg, Col, IntLit, Phrase, Query, Star, parse
 from .model.base import Meter, RuleModel
@@ -115,11 +115,23 @@ class Engine:
         local = self.spark.createDataFrame(rows[[info.id_col, "_f"]], made.select(info.id_col, "_f").schema)
         return df.join(F.broadcast(local), info.id_col)
 
+    def _grouped(self, sample: WeightedFrame, phrase: str, info: TableInfo, meter: Meter, whole: bool) -> Column:
+        """An array with each row's categories of a phrase: the model names them from a few hits, dealt over the strata, and then classifies the rows against them.
+
+        Where the budget covers all rows, a rule model's categories are those of all hits.
+        """
+        hits = sample.df.where("_f")
+        turn = F.row_number().over(Window.partitionBy("_stratum").orderBy(md5_key(info.id_col, self.seed), info.id_col))
+        few = hits.withColumn("_turn", turn).orderBy("_turn", "_stratum").limit(self.costs.taxonomy_rows)
+        taxonomy = None if whole and isinstance(self.model, RuleModel) else self.model.propose(few, phrase, info)
+        n = hits.count()
+        meter.add(bool(n) + n, 0, n * max(1, len(taxonomy or ())))
+        return self.model.classify(hits, phrase, info, taxonomy)
+
     def _aggregate(self, q: Query, kept: DataFrame, info: TableInfo, semantic: list[str], virtual: bool, meter: Meter) -> DataFrame:
         keys, names = [], []
         for i, g in enumerate(q.group):
-            label = F.expr(info.labels[g.text]) if isinstance(g, Phrase) else F.col(g.name)
-            keys.append(label)
+            keys.append(F.col(f"_g{i}") if isinstance(g, Phrase) else F.col(g.name))
             names.append(g.alias or (g.name if isinstance(g, Col) else f"group_{i}"))
         aggs = [(x, x.alias or (x.op if x.arg == "*" else f"{x.op}_{x.arg}")) for x in q.select if isinstance(x, Agg)]
         if not virtual:
@@ -132,20 +144,24 @@ class Engine:
         open_ = kept.where("NOT _decided") if not any(isinstance(g, Phrase) for g in q.group) else kept
         sample = self._sample(open_, info, budget)
         sample.df = self._judged(sample.df, q.where, semantic, meter, info)
-        grouped_phrases = [g for g in q.group if isinstance(g, Phrase)]
-        if grouped_phrases:
-            rows = sample.df.where("_f").orderBy("_stratum", info.id_col)
-            taxonomy = rows.select(*(F.expr(info.labels[g.text]) for g in grouped_phrases)).limit(self.costs.taxonomy_rows).distinct().count()
-            n = rows.count()
-            meter.add(min(n, self.costs.taxonomy_rows) // max(1, self.costs.taxonomy_rows) + n, 0, n * max(1, taxonomy))
+        grouped_phrases = [(i, g.text) for i, g in enumerate(q.group) if isinstance(g, Phrase)]
+        if grouped_phrases:  # a row counts in each of its categories, so weights are scaled before rows are multiplied
+            whole = sample.population <= budget
+            found = {f"_g{i}": self._grouped(sample, text, info, meter, whole) for i, text in grouped_phrases}
+            sums = sample.df.agg(F.sum("_w")).first()[0] or 1.0
+            rows = sample.df.where("_f").withColumn("_w", F.col("_w") * F.lit(sample.population / sums)).withColumns(found)
+            for c in found:
+                rows = rows.withColumn(c, F.explode(c))
+            sample.df = rows
+            exact = exact.withColumns({c: F.lit(None).cast("string") for c in found})
         named = [k.alias(n) for k, n in zip(keys, names)]
         base = WeightedFrame(sample.df.withColumns({n: k for k, n in zip(keys, names)}), sample.population, sample.sizes, sample.drawn)
         parts = None
         for x, n in aggs or [(Agg("count", "*"), "count")]:
             value = None if x.arg == "*" else F.col(x.arg)
             weights = WeightedFrame(base.df, base.population, base.sizes, base.drawn)
-            number = estimate(weights, "count", F.col("_f") & (value.isNotNull() if value is not None else F.lit(True)), None, True, names or None).withColumnRenamed("estimate", "_n").drop("n")
-            total = estimate(weights, "sum", F.col("_f"), value, True, names or None).withColumnRenamed("estimate", "_s").drop("n")
+            number = estimate(weights, "count", F.col("_f") & (value.isNotNull() if value is not None else F.lit(True)), None, not grouped_phrases, names or None).withColumnRenamed("estimate", "_n").drop("n")
+            total = estimate(weights, "sum", F.col("_f"), value, not grouped_phrases, names or None).withColumnRenamed("estimate", "_s").drop("n")
             sampled = (number.join(total, names) if names else number.crossJoin(total)).select(*names, "_n", "_s")
             sure = exact.groupBy(*named).agg((F.count("*") if value is None else F.count(value)).cast("double").alias("_n"), F.coalesce(F.sum(F.lit(1.0) if value is None else value.cast("double")), F.lit(0.0)).alias("_s"))
             both = sampled.unionByName(sure).groupBy(*names).agg(F.coalesce(F.sum("_n"), F.lit(0.0)).alias("_n"), F.coalesce(F.sum("_s"), F.lit(0.0)).alias("_s"))

@@ -31,6 +31,16 @@ def token_budget(usd: float, price: float) -> int:
     return int(usd / price)
 
 
+#: The category of rows that fit none of a taxonomy.
+NONE = "none"
+
+
+def named(indexes: Column, taxonomy: list[str]) -> Column:
+    """The categories' names, or NONE alone."""
+    names = F.array(*map(F.lit, taxonomy)) if taxonomy else F.array(F.lit(NONE))
+    return F.when(F.coalesce(F.size(indexes), F.lit(0)) > 0, F.transform(indexes, lambda i: F.get(names, i))).otherwise(F.array(F.lit(NONE)))
+
+
 class RuleModel:
     """Phrases as SQL expressions: over hidden truth columns (a truth model) or over the text (a lexical one)."""
 
@@ -47,6 +57,25 @@ class RuleModel:
         return df.withColumns({f"_p{i}": self.column(p) for i, p in enumerate(phrases)})
 
 
+    def _labels(self, df: DataFrame, phrase: str, info) -> Column:
+        """What the model sees of a phrase in a row: distinct labels, perhaps none."""
+        label = F.expr(info.labels[phrase])
+        several = df.select(label).schema[0].dataType.typeName() == "array"
+        return F.array_distinct(F.array_compact((label if several else F.array(label)).cast("array<string>")))
+
+    def propose(self, rows: DataFrame, phrase: str, info) -> list[str]:
+        """A taxonomy: the categories of the (few) rows."""
+        return sorted(r[0] for r in rows.select(F.explode(self._labels(rows, phrase, info))).distinct().collect())
+
+    def classify(self, rows: DataFrame, phrase: str, info, taxonomy: list[str] | None) -> Column:
+        """An array with the names of the categories that a row fits, NONE alone if there is none; without a taxonomy every label is a category."""
+        labels = self._labels(rows, phrase, info)
+        if taxonomy is None:
+            return F.when(F.size(labels) > 0, labels).otherwise(F.array(F.lit(NONE)))
+        known = F.array(*map(F.lit, taxonomy)) if taxonomy else F.array().cast("array<string>")
+        return named(F.transform(F.filter(labels, lambda x: F.array_contains(known, x)), lambda x: (F.array_position(known, x) - 1).cast("int")), taxonomy)
+
+
 TruthModel = LexicalModel = RuleModel
 
 
@@ -102,6 +131,21 @@ class CallableModel:
 
     judge = RuleModel.judge
 
+    def propose(self, rows: DataFrame, phrase: str, info) -> list[str]:
+        """A taxonomy from one prompt about the (few) rows."""
+        texts = [r[0] or "" for r in rows.select(F.col(self.source).cast("string")).collect()]
+        reply = self.fn(packed_prompt("groups", info.about, phrase, texts), "\n".join(texts)) if texts else ""
+        return [name for name, _, _ in parse_group_table(reply)]
+
+    def classify(self, rows: DataFrame, phrase: str, info, taxonomy: list[str]) -> Column:
+        fn, about = self.fn, info.about
+
+        @F.pandas_udf("array<int>")
+        def ask(texts: pd.Series) -> pd.Series:
+            return texts.map(lambda t: parse_categories(fn(classify_prompt(about, phrase, t or "", taxonomy), t), len(taxonomy)))
+
+        return named(ask(F.col(self.source)), taxonomy)
+
 
 class CachedModel:
     """Remembers answers by phrase and id, so that no row is paid for twice; the store is a plain dict or anything like one."""
