@@ -123,6 +123,14 @@ def test_quality_keeps_clean_rows(spark):
     assert good >= 0.95
 
 
+def test_quality_threshold_covers_all_good_rows(spark):
+    """With a target of five documents, the cut is still the percentile of all good ones."""
+    docs, labels = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
+    good = quality.judge(docs, labels, trusted=5, lost=0.5).join(labels.select("doc_id", "quality"), "doc_id").where("quality = 1 AND NOT base_failed")
+    n, kept = good.agg(F.count("*"), F.count_if("kept")).first()
+    assert n > 20 and n / 2 <= kept <= n / 2 + 2
+
+
 def test_urls(spark):
     rows = [(1, "http://A.example.com/de/x#f", ""), (2, "https://b.org/p", '<LINK href="http://a.example.com/de/x" rel=canonical>'), (3, "http://q.org/fr/z", '<meta http-equiv="refresh" content="0; url=http://b.org/p">'), (4, "http://c.net", None), (5, "http://c.net/", ""), (6, None, None), (7, "nothing", ""), (8, "http://m.example.net/en/", ""), (9, "http://q.org/", '<link rel="canonical" href="/p9">')]
     df = spark.createDataFrame(rows, "page_id int, url string, html string")

@@ -5,7 +5,8 @@ target's and the raw corpus's bin counts make two smoothed multinomials; a
 document's score is the mean over its n-grams of the log ratio between them.
 Raw counts cover every document.  The target is the labelled good documents,
 of which at most `trusted` are used, the first by a hash of their id.  The
-threshold is the score below which the fraction `lost` of those lies.
+threshold is the score below which the fraction `lost` of all labelled good
+documents that pass the base rules lies.
 """
 
 from __future__ import annotations
@@ -15,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import add_columns, arrow_pass, documents, text_or_empty
+from .common import Scratch, add_columns, arrow_pass, documents, text_or_empty
 
 BINS = 1 << 16
 TRUSTED = 20_000
@@ -152,6 +153,21 @@ def score(docs: DataFrame, model: np.ndarray, text_col: str = "text") -> DataFra
     return add_columns(docs, text_col, ", ".join(f"{s} long" for s in STATS) + ", base_failed boolean, llr double", make)
 
 
+def threshold(docs: DataFrame, labels: DataFrame, model: np.ndarray, lost: float, id_col: str = "doc_id", text_col: str = "text") -> float:
+    """The percentile, between neighbours in proportion, over all labelled good documents that pass the base rules; only its share of the least scores is sorted out."""
+    good = labels.where("quality = 1 AND doc_id IS NOT NULL").select(F.col("doc_id").alias("__good")).distinct()
+    rows = docs.select(id_col, text_col).join(good, F.col(id_col) == F.col("__good"), "left_semi")
+    scratch = Scratch(docs.sparkSession, "quality")
+    scores = scratch.keep(score(rows, model, text_col).where(~F.col("base_failed")).select("llr"), "good")
+    n = scores.count()
+    if not n:
+        return float("-inf")
+    low, part = divmod(lost * (n - 1), 1)
+    least = [r[0] for r in scores.orderBy("llr").limit(int(low) + 2).collect()[int(low) :]]
+    scratch.drop(scores)
+    return least[0] + part * (least[-1] - least[0])
+
+
 def judge(docs: DataFrame, labels: DataFrame, trusted: int = TRUSTED, lost: float = LOST, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs with the statistics, llr and kept: false if base_failed, else whether llr reaches the threshold.
 
@@ -160,10 +176,7 @@ def judge(docs: DataFrame, labels: DataFrame, trusted: int = TRUSTED, lost: floa
     """
     ids = trusted_ids(labels, trusted)
     model = ratios(counts(docs, ids, id_col, text_col).collect())  # at most BINS rows
-    known = docs.sparkSession.createDataFrame([(i,) for i in ids], "id long")
-    sample = docs.select(id_col, text_col).join(F.broadcast(known), F.col(id_col) == F.col("id"), "left_semi")
-    cut = score(sample, model, text_col).where(~F.col("base_failed")).agg(F.percentile("llr", F.lit(lost))).first()[0]
-    cut = float("-inf") if cut is None else cut
+    cut = threshold(docs, labels, model, lost, id_col, text_col)
     return score(docs, model, text_col).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= F.lit(cut)))
 
 
