@@ -102,6 +102,18 @@ def test_engine(spark):
     assert m.answers(tiny(spark), "f") == m.answers(tiny(spark), "f") and m.asked == 8
 
 
+def test_budget_for_all_rows_takes_no_sample(spark, monkeypatch):
+    from virtcol import queries
+
+    def none(*_):
+        raise AssertionError("a sample was drawn")
+
+    monkeypatch.setattr(Engine, "_sample", none)
+    e = Engine(spark, RuleModel({"odd": "id % 2 = 1"}), Costs(8, 8))
+    e.register("t", tiny(spark), TableInfo("id", "g", stratum="g"))
+    assert e.sql('SELECT COUNT(*) AS n, SUM(x) AS s FROM t WHERE "odd"').df.first() == (4.0, 16.0) and queries.ALL > 10**15
+
+
 def test_taxonomy_groups(spark):
     """Categories come from the few rows of the taxonomy; rows may fit several, or none."""
     rows = [(i, t, s) for i, (t, s) in enumerate([("red", "a"), ("red blue", "b"), ("blue", "c"), ("green", "a"), ("", "b"), ("red", "c")] * 4)]

@@ -101,6 +101,20 @@ class Engine:
         w.df = df.join(F.broadcast(small), info.id_col)
         return w
 
+    def _judged_in_place(self, df: DataFrame, where: tuple, semantic: list[str], meter: Meter, info: TableInfo) -> DataFrame:
+        """All rows with `_f`, for a budget that covers them: nothing but the meter's sums comes to the driver."""
+        if not semantic:
+            return df.withColumn("_f", F.lit(True))
+        answers = {p: F.col(f"_p{i}") for i, p in enumerate(semantic)}
+        asked = self.model.judge(df, semantic)
+        if not isinstance(self.model, RuleModel):
+            asked = asked.persist()  # a row is asked once
+        tokens = F.coalesce((F.length(F.col(info.source).cast("string")) / 4).cast("long"), F.lit(0))
+        cost = planner.calls(where, answers, F.col("_live"))
+        n, t = asked.agg(F.coalesce(F.sum(cost), F.lit(0)), F.coalesce(F.sum(cost * tokens), F.lit(0))).first()
+        meter.add(int(n), int(t), int(n))
+        return asked.withColumn("_f", F.coalesce(F.col("_decided"), F.lit(False)) | planner.residual(where, answers, F.col("_live")))
+
     def _judged(self, df: DataFrame, where: tuple, semantic: list[str], meter: Meter, info: TableInfo) -> DataFrame:
         """The (few) rows with `_f`, their truth, judged once: the answers come to the driver and go back as a local table."""
         if not semantic:
@@ -142,8 +156,12 @@ class Engine:
         budget = self.costs.aggregate_budget
         exact = kept.where("_decided") if not any(isinstance(g, Phrase) for g in q.group) else kept.limit(0)
         open_ = kept.where("NOT _decided") if not any(isinstance(g, Phrase) for g in q.group) else kept
-        sample = self._sample(open_, info, budget)
-        sample.df = self._judged(sample.df, q.where, semantic, meter, info)
+        n_open = open_.count()
+        if n_open <= budget:
+            sample = WeightedFrame(self._judged_in_place(open_, q.where, semantic, meter, info).withColumns({"_w": F.lit(1.0), "_stratum": F.lit(0)}), n_open, {0: n_open}, {0: n_open})
+        else:
+            sample = self._sample(open_, info, budget)
+            sample.df = self._judged(sample.df, q.where, semantic, meter, info)
         grouped_phrases = [(i, g.text) for i, g in enumerate(q.group) if isinstance(g, Phrase)]
         if grouped_phrases:  # a row counts in each of its categories, so weights are scaled before rows are multiplied
             whole = sample.population <= budget

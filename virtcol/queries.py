@@ -208,7 +208,7 @@ def vsql(text, budget=None, stratum=None, seed=0):
     return run
 
 
-ALL = 10_000_000
+ALL = 2**63 - 1  # no table has more rows
 W29 = 'SELECT g, COUNT(*) AS n FROM documents WHERE n_chars < 2000 GROUP BY "language of the text" AS g'
 W30 = 'SELECT conv_id FROM dialogs WHERE "opens with a system instruction" LIMIT 100'
 VSQL = {
