@@ -76,7 +76,9 @@ class WordEncoder:
     #: Letters up to U+024F and common punctuation are their own normal form; what needs more goes through the file's own normaliser and splitter.
     PLAIN = regex.compile(r"[\t-\r \x21-\x7E\xA0-\u012F\u0131-\u0239\u023B-\u023D\u023F-\u024F\u2010-\u2027\u2030-\u205E\u20A0-\u20BF]*+")
     SPLIT = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
-    CACHE = 250_000
+    CACHE = 100_000
+    #: Token pairs whose compatibility is remembered.
+    BORDERS = 500_000
 
     def __init__(self, t: dict):
         self.ids, self.names, self.born, self.split, self.ranks = t["ids"], t["names"], t["born"], t["split"], t["ranks"]
@@ -119,7 +121,7 @@ class WordEncoder:
 
         Equal ranks merge from the left: a's own merge of that rank comes first, b's own comes after.
         """
-        if len(self.border) > 2_000_000:
+        if len(self.border) > self.BORDERS:
             self.border.clear()
         fits = self.border[a * 65536 + b] = not any(
             (r := self.ranks.get((u, v))) is not None and r < u_end and r <= v_end
@@ -207,8 +209,8 @@ def vocabulary(path: str | None = None) -> str:
         return f.read()
 
 
-def encode(docs: DataFrame, tokenizer: str | None = None, text_col: str = "text", ids: bool = True) -> DataFrame:
-    """docs with n_tokens, ids_sha256, decoded_sha256 and, if asked for, token_ids (binary, little-endian 32-bit) and decoded.
+def encode(docs: DataFrame, tokenizer: str | None = None, text_col: str = "text", extra: tuple[str, ...] = ("token_ids", "decoded"), drop: tuple[str, ...] = ()) -> DataFrame:
+    """docs without the columns in `drop`, with n_tokens, ids_sha256, decoded_sha256 and, if asked for, token_ids (binary, little-endian 32-bit) and decoded.
 
     Null and empty texts have no ids.  Rows, ties and repeats pass through; columns of the result's names are replaced.
     """
@@ -223,12 +225,12 @@ def encode(docs: DataFrame, tokenizer: str | None = None, text_col: str = "text"
             got = [encoder.encode(t.decode("utf-8", "replace")) for t in texts]
             back = [encoder.decode(i) for i in got]
             out = [[len(i) // 4 for i in got], [hashlib.sha256(i).hexdigest() for i in got], [hashlib.sha256(s.encode()).hexdigest() for s in back]]
-            return [*out, got, back] if ids else out
+            return out + [{"token_ids": got, "decoded": back}[x] for x in extra]
 
         return work
 
-    return add_columns(docs, text_col, "n_tokens long, ids_sha256 string, decoded_sha256 string" + ", token_ids binary, decoded string" * ids, make)
+    return add_columns(docs, text_col, "n_tokens long, ids_sha256 string, decoded_sha256 string" + "".join({"token_ids": ", token_ids binary", "decoded": ", decoded string"}[x] for x in extra), make, token, drop)
 
 
 def op1_bpe_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return encode(documents(spark, sf_dir).select("doc_id", "text"), ids=False).select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
+    return encode(documents(spark, sf_dir).select("doc_id", "text"), extra=(), drop=("text",)).select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")

@@ -67,10 +67,20 @@ def row_key(id_col: str, text_col: str) -> Column:
     return F.unhex(F.md5(F.concat_ws("\x1f", F.coalesce(F.col(id_col).cast("string"), F.lit("null")), F.octet_length(text_or_empty(text_col)).cast("string"), text_or_empty(text_col)).cast("binary")))
 
 
-def arrow_pass(df: DataFrame, schema: str | T.StructType, make: Callable[[], Callable[[pa.RecordBatch], Iterator[pa.RecordBatch] | pa.RecordBatch]]) -> DataFrame:
-    """mapInArrow; make() runs once a task and returns what turns one batch into one or several."""
+def arrow_pass(df: DataFrame, schema: str | T.StructType, make: Callable[[], Callable[[pa.RecordBatch], Iterator[pa.RecordBatch] | pa.RecordBatch]], keep: str = "") -> DataFrame:
+    """mapInArrow; make() runs once a task and returns what turns one batch into one or several.
+
+    A worker outlives its tasks: each pass first lets go of what per_process() holds under another token than `keep`, and gives free memory back at its end.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean(keep)
+        try:
+            yield from through(batches)
+        finally:
+            lean(keep)
+
+    def through(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         each = make()
         for b in batches:
             for part in small(b):
@@ -90,23 +100,25 @@ def arrow_pass(df: DataFrame, schema: str | T.StructType, make: Callable[[], Cal
     return df.mapInArrow(run, schema)
 
 
-def add_columns(df: DataFrame, text_col: str, fields: str, make: Callable[[], Callable[[list[bytes]], list]]) -> DataFrame:
+def add_columns(df: DataFrame, text_col: str, fields: str, make: Callable[[], Callable[[list[bytes]], list]], keep: str = "", drop: tuple[str, ...] = ()) -> DataFrame:
     """df with new columns made from its text: make() returns a function from a list of UTF-8 texts (null: empty) to one list or array per new column.
 
-    A column of df with a new column's name is replaced; all others pass through.
+    A column of df with a new column's name is replaced; those in `drop` go; all others pass through.  The text goes to
+    Python once, whether or not it is among them.
     """
     new = T._parse_datatype_string(fields)
-    names = {f.name for f in new}
+    names = {f.name for f in new} | set(drop)
     kept = [f for f in df.schema.fields if f.name not in names]
-    side = "__virtcol_text"
-    ready = df.select(*(F.col(f"`{f.name}`") for f in kept), text_or_empty(text_col).alias(side))
+    given = [F.col(f"`{f.name}`") for f in kept]
+    at = next((i for i, f in enumerate(kept) if f.name == text_col and isinstance(f.dataType, T.StringType)), len(kept))
+    ready = df.select(*given) if at < len(kept) else df.select(*given, text_or_empty(text_col).alias("__virtcol_text"))
     schema = T.StructType([*kept, *new])
 
     def build():
         work = make()
 
         def each(b: pa.RecordBatch) -> pa.RecordBatch:
-            made = work(b.column(b.num_columns - 1).cast(pa.binary()).to_pylist())
+            made = work([t or b"" for t in b.column(at).cast(pa.binary()).to_pylist()])
             arrays = [pa.array(x, type=k) if not isinstance(x, pa.Array) else x for x, k in zip(made, kinds, strict=True)]
             return pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(kept))), *arrays], names=[f.name for f in schema])
 
@@ -115,7 +127,7 @@ def add_columns(df: DataFrame, text_col: str, fields: str, make: Callable[[], Ca
     from pyspark.sql.pandas.types import to_arrow_type
 
     kinds = [to_arrow_type(f.dataType) for f in new]
-    return arrow_pass(ready, schema, build)
+    return arrow_pass(ready, schema, build, keep)
 
 
 def bounded_broadcast(df: DataFrame, most: int) -> DataFrame:
@@ -123,13 +135,33 @@ def bounded_broadcast(df: DataFrame, most: int) -> DataFrame:
     return F.broadcast(df) if df.limit(most + 1).count() <= most else df
 
 
-def per_process(name: str, token: str, build: Callable):
-    """What build() makes, once for all tasks of a Python worker with the same token; a new token replaces the old one's."""
+def _held() -> dict:
+    """What this Python worker holds between tasks: name -> (token, object)."""
     import sys
     import types
 
-    own = sys.modules.setdefault("_virtcol_process", types.ModuleType("_virtcol_process"))
-    held = vars(own).setdefault("held", {})
+    return vars(sys.modules.setdefault("_virtcol_process", types.ModuleType("_virtcol_process"))).setdefault("held", {})
+
+
+def per_process(name: str, token: str, build: Callable):
+    """What build() makes, once for all tasks of a Python worker with the same token; a new token replaces the old one's."""
+    held = _held()
     if held.get(name, ("",))[0] != token:
         held[name] = (token, build())
     return held[name][1]
+
+
+def lean(keep: str = "") -> None:
+    """Drop what other tokens hold, and hand free memory back to the system, which a worker that waits would else keep."""
+    import ctypes
+    import gc
+
+    held = _held()
+    for name in [n for n, (token, _) in held.items() if token != keep]:
+        del held[name]
+    gc.collect()
+    pa.set_memory_pool(pa.system_memory_pool())
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:  # a C library without it
+        pass

@@ -242,7 +242,7 @@ def replace(docs: DataFrame, most: int = EXCEPTIONS, id_col: str = "doc_id", tex
 
         return work
 
-    done = add_columns(ready.withColumn("__in", F.concat(own, F.lit("\x00"), text_or_empty(text_col))), "__in", "__out string, n_entities int", make)
+    done = add_columns(ready.withColumn("__in", F.concat(own, F.lit("\x00"), text_or_empty(text_col))), "__in", "__out string, n_entities int", make, token)
     return done.select(*(F.when(F.col(text_col).isNotNull(), F.col("__out")).alias(c) if c == text_col else F.col(f"`{c}`") for c in order), "n_entities")
 
 

@@ -56,7 +56,7 @@ class Grams:
 
 
 def repeated_words(codes: np.ndarray) -> int:
-    """Words that lie in a window of SPAN words found twice or more in the text; codes are hashes, which a second look at equal windows confirms."""
+    """Words that lie in a window of SPAN words found twice or more in the text; words are told apart by 64-bit hashes, windows by a 64-bit mix of them."""
     n = len(codes) - SPAN + 1
     if n < 2:
         return 0
@@ -132,8 +132,8 @@ def ratios(rows: list) -> np.ndarray:
     return (smooth(target) - smooth(raw)).astype(np.float32)
 
 
-def score(docs: DataFrame, model: np.ndarray, text_col: str = "text") -> DataFrame:
-    """docs with the base statistics, base_failed and llr, the mean log ratio (0 for a text without words)."""
+def score(docs: DataFrame, model: np.ndarray, text_col: str = "text", drop: tuple[str, ...] = ()) -> DataFrame:
+    """docs, without the columns in `drop`, with the base statistics, base_failed and llr, the mean log ratio (0 for a text without words)."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def make():
@@ -150,7 +150,7 @@ def score(docs: DataFrame, model: np.ndarray, text_col: str = "text") -> DataFra
 
         return work
 
-    return add_columns(docs, text_col, ", ".join(f"{s} long" for s in STATS) + ", base_failed boolean, llr double", make)
+    return add_columns(docs, text_col, ", ".join(f"{s} long" for s in STATS) + ", base_failed boolean, llr double", make, drop=drop)
 
 
 def threshold(docs: DataFrame, labels: DataFrame, model: np.ndarray, lost: float, id_col: str = "doc_id", text_col: str = "text") -> float:
@@ -158,7 +158,7 @@ def threshold(docs: DataFrame, labels: DataFrame, model: np.ndarray, lost: float
     good = labels.where("quality = 1 AND doc_id IS NOT NULL").select(F.col("doc_id").alias("__good")).distinct()
     rows = docs.select(id_col, text_col).join(good, F.col(id_col) == F.col("__good"), "left_semi")
     scratch = Scratch(docs.sparkSession, "quality")
-    scores = scratch.keep(score(rows, model, text_col).where(~F.col("base_failed")).select("llr"), "good")
+    scores = scratch.keep(score(rows, model, text_col, (text_col,)).where(~F.col("base_failed")).select("llr"), "good")
     n = scores.count()
     if not n:
         return float("-inf")
@@ -168,8 +168,8 @@ def threshold(docs: DataFrame, labels: DataFrame, model: np.ndarray, lost: float
     return least[0] + part * (least[-1] - least[0])
 
 
-def judge(docs: DataFrame, labels: DataFrame, trusted: int = TRUSTED, lost: float = LOST, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with the statistics, llr and kept: false if base_failed, else whether llr reaches the threshold.
+def judge(docs: DataFrame, labels: DataFrame, trusted: int = TRUSTED, lost: float = LOST, id_col: str = "doc_id", text_col: str = "text", drop: tuple[str, ...] = ()) -> DataFrame:
+    """docs, without the columns in `drop`, with the statistics, llr and kept: false if base_failed, else whether llr reaches the threshold.
 
     Null texts are empty and fail the base rules.  Equal rows get equal verdicts; columns with the result's names are replaced.
     Without labelled good documents the ratio is 0 and only the base rules reject.
@@ -177,9 +177,9 @@ def judge(docs: DataFrame, labels: DataFrame, trusted: int = TRUSTED, lost: floa
     ids = trusted_ids(labels, trusted)
     model = ratios(counts(docs, ids, id_col, text_col).collect())  # at most BINS rows
     cut = threshold(docs, labels, model, lost, id_col, text_col)
-    return score(docs, model, text_col).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= F.lit(cut)))
+    return score(docs, model, text_col, drop).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= F.lit(cut)))
 
 
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = judge(documents(spark, sf_dir).select("doc_id", "text"), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    out = judge(documents(spark, sf_dir).select("doc_id", "text"), spark.read.parquet(f"{sf_dir}/labels.parquet"), drop=("text",))
     return out.select("doc_id", *STATS, "base_failed", "kept", "llr")

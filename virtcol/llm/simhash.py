@@ -68,15 +68,15 @@ def fingerprint(text: bytes, words: int, xxh64) -> int:
     return majority(shingle_hashes(text, words, xxh64))
 
 
-def fingerprints(docs: DataFrame, words: int = 5, text_col: str = "text") -> DataFrame:
-    """docs with simhash (the 64 bits as a signed long). Null and wordless texts: 0."""
+def fingerprints(docs: DataFrame, words: int = 5, text_col: str = "text", drop: tuple[str, ...] = ()) -> DataFrame:
+    """docs, without the columns in `drop`, with simhash (the 64 bits as a signed long). Null and wordless texts: 0."""
 
     def make():
         from xxhash import xxh64_intdigest
 
         return lambda texts: [np.array([fingerprint(t, words, xxh64_intdigest) for t in texts], np.uint64).view(np.int64)]
 
-    return add_columns(docs, text_col, "simhash long", make)
+    return add_columns(docs, text_col, "simhash long", make, drop=drop)
 
 
 def masks(radius: int) -> list[int]:
@@ -126,7 +126,7 @@ def groups(docs: DataFrame, scratch: Scratch, radius: int = 2, id_col: str = "do
 def near_duplicates(docs: DataFrame, words: int = 5, radius: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, simhash, component_id) of every row; equal rows give equal results, empty tables none."""
     scratch = Scratch(docs.sparkSession, "simhash")
-    kept = scratch.keep(fingerprints(docs.select(id_col, text_col), words, text_col).select(id_col, "simhash"), "prints")
+    kept = scratch.keep(fingerprints(docs.select(id_col, text_col), words, text_col, (text_col,)).select(id_col, "simhash"), "prints")
     return groups(kept, scratch, radius, id_col)
 
 
@@ -147,7 +147,7 @@ def least_values(hashes: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, words: int, text_col: str = "text") -> DataFrame:
-    """docs with simhash, node (a 64-bit digest of the shingle set: equal sets, equal nodes), bands (MinHash band keys) and shingles (the set, 32 bits each, sorted)."""
+    """docs without its text, with simhash, node (a 64-bit digest of the shingle set: equal sets, equal nodes), bands (MinHash band keys) and shingles (the set, 32 bits each, sorted)."""
 
     def make():
         from xxhash import xxh64_intdigest
@@ -166,7 +166,7 @@ def sketches(docs: DataFrame, words: int, text_col: str = "text") -> DataFrame:
 
         return work
 
-    return add_columns(docs, text_col, "simhash long, node long, bands array<long>, shingles binary", make)
+    return add_columns(docs, text_col, "simhash long, node long, bands array<long>, shingles binary", make, drop=(text_col,))
 
 
 def band_pairs(nodes: DataFrame, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
@@ -275,13 +275,13 @@ def representatives(docs: DataFrame, words: int = 5, radius: int = 2, similarity
     """
     scratch = Scratch(docs.sparkSession, "simhash")
     marked = sketches(docs.select(F.col(id_col), F.col(text_col), row_key(id_col, text_col).alias("__key")), words, text_col)
-    kept = scratch.keep(marked.drop(text_col), "sketches")
+    kept = scratch.keep(marked, "sketches")
     nodes = scratch.keep(kept.groupBy("node").agg(F.first("bands").alias("bands"), F.min("simhash").alias("simhash"), F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")), "nodes")
     banded, crowded = band_pairs(nodes, scratch)
     pairs = scratch.keep(banded.union(simhash_pairs(nodes, radius, scratch)).distinct(), "pairs")
     needed = pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct()
     holders = nodes.select("node", "__key").join(needed, "node", "left_semi")
-    sets = scratch.keep(kept.select("__key", "shingles").join(holders, "__key").select("node", "shingles").dropDuplicates(["node"]), "sets")
+    sets = scratch.keep(kept.select("__key", "shingles").join(holders, "__key").dropDuplicates(["__key"]).select("node", "shingles"), "sets")
     roots = scratch.keep(components(alike(pairs, sets, similarity), scratch), "roots")
     rest = scratch.keep(rest_pairs(crowded, roots, sets, similarity, scratch), "rest")
     more = scratch.keep(alike(rest, sets, similarity), "more")

@@ -104,8 +104,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str =
     return train([(np.frombuffer(b, "<i4"), shared.value[i]) for i, b in rows])
 
 
-def score(docs: DataFrame, weights: np.ndarray, threshold: float = THRESHOLD, text_col: str = "text") -> DataFrame:
-    """docs with score (0 to 1) and predicted. Null and empty texts score what the constant alone gives."""
+def score(docs: DataFrame, weights: np.ndarray, threshold: float = THRESHOLD, text_col: str = "text", drop: tuple[str, ...] = ()) -> DataFrame:
+    """docs, without the columns in `drop`, with score (0 to 1) and predicted. Null and empty texts score what the constant alone gives."""
     at = np.flatnonzero(weights)
     shared = docs.sparkSession.sparkContext.broadcast((at, weights[at]))
 
@@ -125,10 +125,10 @@ def score(docs: DataFrame, weights: np.ndarray, threshold: float = THRESHOLD, te
 
         return work
 
-    return add_columns(docs, text_col, "score double, predicted int", make)
+    return add_columns(docs, text_col, "score double, predicted int", make, drop=drop)
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     weights = fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return score(docs, weights).select("doc_id", held_out("doc_id").alias("held_out"), "score", "predicted")
+    return score(docs, weights, drop=("text",)).select("doc_id", held_out("doc_id").alias("held_out"), "score", "predicted")
