@@ -181,8 +181,12 @@ def lm_parts(texts):
     table = lambda x: tuple(np.array(v, np.int64) for v in zip(*((*k, n) for k, n in x.items())))
     model = lm.Counts(one, starts, table({k: n for k, n in pairs.items() if k[0] >= 0}), table(nodes), subwords.starts)
     lexicon, bins = lm.Lexicon(subwords, model, {}), lm.bins_of(one[: subwords.size])
-    ids = [lexicon.text(t.encode().lower().split())[0].astype(np.int64) for t in texts]
-    return lexicon, bins, lm.Attention(None, lm.Topics.found(ids, bins, model.first))
+    batch = packed(lexicon, texts)
+    return lexicon, bins, lm.Attention(None, lm.Topics.found(np.split(batch.ids, np.cumsum(batch.sizes)[:-1]), bins, model.first))
+
+
+def packed(lexicon, texts):
+    return lexicon.texts([t.encode().lower().split() for t in texts])
 
 
 def some_texts(n=12):
@@ -213,10 +217,10 @@ def test_lm_scores_are_those_of_a_plain_pass():
     lexicon, bins, net = lm_parts(texts)
     rng = np.random.default_rng(1)
     net.flat[:] += rng.normal(0, 0.3, len(net.flat)).astype(np.float32)
-    seqs = [lexicon.text(t.encode().lower().split())[:2] for t in texts]
-    *batch, live = lm.windows(seqs, bins)
+    *batch, live = packed(lexicon, texts).windows(bins)
     got = net.log_probs(*batch)
-    for (ids, logs), rows in zip(seqs, np.split(np.arange(len(live)), np.flatnonzero(batch[3])[1:])):
+    alone = [packed(lexicon, [t]) for t in texts]
+    for (ids, logs), rows in zip(((x.ids, x.logs) for x in alone), np.split(np.arange(len(live)), np.flatnonzero(batch[3])[1:])):
         want = plain_log_probs(net, bins, ids.astype(np.int64), logs)
         assert np.allclose(got[rows][live[rows]], want, atol=2e-4) and len(want) == live[rows].sum()
 
@@ -250,7 +254,7 @@ def test_lm_words_are_encoded_alike_together_and_alone():
 def test_attention_gradient():
     texts = some_texts()
     lexicon, bins, net = lm_parts(texts)
-    *batch, live = lm.windows([lexicon.text(t.encode().lower().split())[:2] for t in texts], bins)
+    *batch, live = packed(lexicon, texts).windows(bins)
     net.w["sentinel"][:] = 0.5
     g = net.gradient(live, *batch)
     loss = lambda: -np.where(live, net.log_probs(*batch), 0).sum() / live.sum()
@@ -268,7 +272,7 @@ def test_attention_gradient():
 def test_lm_pass_over_the_corpus_lowers_the_loss():
     texts = some_texts(60)
     lexicon, bins, net = lm_parts(texts)
-    *batch, live = lm.windows([lexicon.text(t.encode().lower().split())[:2] for t in texts], bins)
+    *batch, live = packed(lexicon, texts).windows(bins)
     told, given, firsts = net.shares(live, *batch)
     loss = lambda x: -np.where(live, x.log_probs(*batch), 0).sum() / live.sum()
     assert math.isclose(given[: 2 * lm.STRIDE].sum() + given[2 * lm.STRIDE :].sum(), live.sum(), rel_tol=1e-3) and math.isclose(told.sum(), live.sum(), rel_tol=1e-3)
@@ -283,7 +287,7 @@ def test_lm_trains_on_every_id(spark):
     known = spark.sparkContext.broadcast({"table": lm.ranks(), "counts": vars(lexicon.counts), "bins": bins, "heads": {}})
     df = spark.createDataFrame([(t,) for t in texts], "text string")
     (one, seen), (two, again) = (lm.train(df.repartition(n), net, known, f"every{n}") for n in (3, 5))
-    assert seen == again == sum(len(lexicon.text(t.encode().lower().split())[0]) for t in texts)  # each text's end is an id to learn
+    assert seen == again == len(packed(lexicon, texts).ids)  # each text's end is an id to learn
     assert np.allclose(one.flat, two.flat, atol=2e-4) and not np.allclose(one.flat, net.flat, atol=1e-2)
 
 
