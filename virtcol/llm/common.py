@@ -15,6 +15,10 @@ from pyspark.sql import types as T
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+#: Rows of whole texts that go to Python at once.
+ROWS = 1024
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
@@ -93,10 +97,13 @@ def arrow_pass(df: DataFrame, schema: str | T.StructType, make: Callable[[], Cal
         if end is not None:
             yield from end()
 
-    def small(b: pa.RecordBatch, rows: int = 1024) -> Iterator[pa.RecordBatch]:
+    def small(b: pa.RecordBatch, rows: int = ROWS) -> Iterator[pa.RecordBatch]:
         for at in range(0, b.num_rows, rows):
             yield b.slice(at, rows)
 
+    given = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if df.sparkSession.conf.get(given) == "10000":  # the default, which holds tens of MB of text on both sides; what a user sets stays
+        df.sparkSession.conf.set(given, str(ROWS))
     return df.mapInArrow(run, schema)
 
 
