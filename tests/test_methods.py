@@ -168,3 +168,41 @@ def test_packs(spark):
 
 def test_strata_sizes_follow_filters(spark):
     assert strata_sizes(tiny(spark).where("x < 5"), "g") == {"a": 5}
+
+
+def test_null_groups_stay(spark):
+    """Rows whose group is null are a group of their own, whatever the number of aggregates and for any budget."""
+    rows = [(i, "text", [None, "a", "b"][i % 3], i) for i in range(60)]
+    for budget in (1000, 30):
+        e = Engine(spark, RuleModel({"any": "true"}), Costs(budget, budget))
+        e.register("t", spark.createDataFrame(rows, "id long, text string, g string, x long"), TableInfo("id", "text", stratum="g"))
+        got = {r["g"]: (r["n"], r["total"]) for r in e.sql('SELECT g, COUNT(*) AS n, SUM(x) AS total FROM t WHERE "any" GROUP BY g').df.collect()}
+        assert set(got) == {None, "a", "b"} and all(abs(n - 20) < 1e-6 for n, _ in got.values())
+
+
+def test_search_with_pool_and_token_budget(spark):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(400, 8)).astype(np.float32)
+    yes = {i for i in range(400) if x[i, 0] > 0.8}
+    df = spark.createDataFrame([(i, v.tolist(), 10 + i % 5) for i, v in enumerate(x)], "id long, e array<float>, t long").repartition(3)
+    judge = lambda ids: [i in yes for i in ids]
+    plain, pooled = active_search(df, judge, 96, 16, seed=3), active_search(df, judge, 96, 16, seed=3, pool=200, refresh=3)
+    assert len(pooled.trace) == 96 and set(pooled.hits) <= yes and len(pooled.hits) >= 0.8 * len(plain.hits)
+    whole = active_search(df, judge, 96, 16, seed=3, pool=400, refresh=100)  # a pool of all rows loses nothing
+    assert [t[1] for t in whole.trace[:32]] == [t[1] for t in plain.trace[:32]]
+    state: dict = {}
+    active_search(df, judge, 400, 16, seed=3, state=state, tokens="t", token_budget=500)
+    assert 480 <= sum(state["tokens"].values()) <= 500 and len(state["seen"]) == len(state["tokens"])
+
+
+def test_repeat_and_label_distance():
+    mean, sd, got = metrics.repeat(lambda s: None if s == 3 else float(s), range(5))
+    assert got == [0, 1, 2, 4] and mean == 1.75 and abs(sd - 1.7078) < 1e-3
+    assert metrics.label_distance("fr", "fr") < 1e-9 and metrics.label_distance("fr", "de") == 1.0
+    assert abs(metrics.emd([("fr", 3), ("de", 1)], [("fr", 1), ("de", 1)], metrics.label_distance) - 0.25) < 1e-9
+
+
+def test_queries_without_labels_find_more_than_chance(spark):
+    """Inner products with a query of common words, which looks at no label."""
+    r = workloads.run("w5", spark, "/root/testdata/sf0.01", "mips", 100)
+    assert r["hits"] > 2 * 100 * r["truth"] / 1000

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -36,6 +37,14 @@ class Result:
     trace: list = field(default_factory=list)
 
 
+def paired(a: DataFrame, b: DataFrame, names: list[str]) -> DataFrame:
+    """Two tables with a row per group, side by side; a null key is a group like any other."""
+    if not names:
+        return a.crossJoin(b)  # a row each
+    other = b.withColumnsRenamed({n: f"__{n}" for n in names})
+    return a.join(other, reduce(lambda x, y: x & y, [F.col(n).eqNullSafe(F.col(f"__{n}")) for n in names])).drop(*(f"__{n}" for n in names))
+
+
 class Engine:
     def __init__(self, spark: SparkSession, model: RuleModel, costs: planner.Costs = planner.Costs(), seed: int = 0, strata: int = 10, batch: int = 16):
         self.spark, self.model, self.costs, self.seed, self.strata, self.batch = spark, model, costs, seed, strata, batch
@@ -180,12 +189,12 @@ class Engine:
             weights = WeightedFrame(base.df, base.population, base.sizes, base.drawn)
             number = estimate(weights, "count", F.col("_f") & (value.isNotNull() if value is not None else F.lit(True)), None, not grouped_phrases, names or None).withColumnRenamed("estimate", "_n").drop("n")
             total = estimate(weights, "sum", F.col("_f"), value, not grouped_phrases, names or None).withColumnRenamed("estimate", "_s").drop("n")
-            sampled = (number.join(total, names) if names else number.crossJoin(total)).select(*names, "_n", "_s")
+            sampled = paired(number, total, names).select(*names, "_n", "_s")
             sure = exact.groupBy(*named).agg((F.count("*") if value is None else F.count(value)).cast("double").alias("_n"), F.coalesce(F.sum(F.lit(1.0) if value is None else value.cast("double")), F.lit(0.0)).alias("_s"))
             both = sampled.unionByName(sure).groupBy(*names).agg(F.coalesce(F.sum("_n"), F.lit(0.0)).alias("_n"), F.coalesce(F.sum("_s"), F.lit(0.0)).alias("_s"))
             shown = {"count": F.col("_n"), "sum": F.col("_s"), "avg": F.col("_s") / F.nullif(F.col("_n"), F.lit(0.0))}[x.op].alias(n)
             one = both.where("_n > 0").select(*names, shown) if names else both.select(shown)
-            parts = one if parts is None else parts.join(one, names) if names else parts.crossJoin(one)
+            parts = one if parts is None else paired(parts, one, names)
         return self._finish(parts, q, names, aggs)
 
     def _finish(self, out: DataFrame, q: Query, names: list[str], aggs: list) -> DataFrame:

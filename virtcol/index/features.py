@@ -65,9 +65,9 @@ def nearest_anchor(vectors: DataFrame, anchors: list[tuple[int, list[float]]], i
     return vectors.select(F.col(id_col).alias("id"), (-F.array_max(scored)["i"]).alias("stratum"))
 
 
-def fit_kmeans(features: DataFrame, k: int, seed: int = 0, sample: int = 1_000_000, rounds: int = 20) -> np.ndarray:
+def fit_kmeans(features: DataFrame, k: int, seed: int = 0, sample: int = 20_000, rounds: int = 20) -> np.ndarray:
     """Centroids from at most `sample` rows (the first by a hash of the id)."""
-    rows = features.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(min(sample, 20_000)).select("e").toPandas()["e"]
+    rows = features.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(sample).select("e").toPandas()["e"]
     x = np.array(rows.tolist(), np.float32) if len(rows) else np.zeros((0, 1), np.float32)
     rng = np.random.default_rng(seed)
     c = np.unique(x, axis=0)

@@ -47,13 +47,18 @@ def decay(kind: str, t: int, tau: float = 8.0) -> float:
     return {"none": 0.0, "inverse_t": 1 / (1 + t), "exponential": float(np.exp(-t / tau))}[kind]
 
 
-def active_search(features: DataFrame, judge, budget: int = 256, batch: int = 16, surrogate: str = "logistic", noise: float = 0.0, schedule: str = "inverse_t", limit: int | None = None, seed: int = 0, prior: np.ndarray | None = None, l2: float = 1.0, state: dict | None = None) -> SearchResult:
+def active_search(features: DataFrame, judge, budget: int = 256, batch: int = 16, surrogate: str = "logistic", noise: float = 0.0, schedule: str = "inverse_t", limit: int | None = None, seed: int = 0, prior: np.ndarray | None = None, l2: float = 1.0, state: dict | None = None, pool: int | None = None, refresh: int = 4, tokens: str | None = None, token_budget: int | None = None) -> SearchResult:
     """Judges at most `budget` rows, each round the unseen ones that the surrogate ranks highest, and returns the positives.
 
     features: (id, e).  judge: list of ids -> list of bool.  Before one hit and one miss are known scores are seeded
     random numbers, or the product with `prior`.  Stops at `limit` hits.  Only ids, answers and weights are kept between
     rounds (pass `state` to resume); a round's plan is scan, product, top-k, so lineage does not grow.
+
+    pool: so many of the best rows come to the driver with their vectors, and `refresh` rounds rank them there before the
+    next scan of all rows (pool is a bound, at least `batch`).  tokens: a column of features with each row's length;
+    the search ends before the rows judged would pass token_budget.
     """
+    held, age, spent = None, 0, sum(state.get("tokens", {}).values()) if state else 0
     state = state if state is not None else {}
     seen: dict = state.setdefault("seen", {})
     rows: dict = state.setdefault("vectors", {})
@@ -78,8 +83,26 @@ def active_search(features: DataFrame, judge, budget: int = 256, batch: int = 16
             score = product("e")
         if noise:
             score = score + F.lit(noise * decay(schedule, t)) * (2 * uniform("id", seed, t) - 1)
-        open_ = features.where(~F.col("id").isin(list(seen))) if seen else features  # at most `budget` ids
-        picked = open_.withColumn("score", score).orderBy(F.desc("score"), "id").limit(min(batch, budget - len(seen))).collect()
+        want = min(batch, budget - len(seen))
+        if held is not None and age < refresh and w is not None:
+            x = np.array([r["e"] for r in held], np.float64)
+            rank = x @ w if len(x) else np.zeros(0)
+            best = sorted((i for i, r in enumerate(held) if r["id"] not in seen), key=lambda i: (-rank[i], held[i]["id"]))[:want]
+            picked = [held[i].asDict() | {"score": rank[i]} for i in best]
+            age += 1
+        else:
+            picked = []
+        if not picked:
+            open_ = features.where(~F.col("id").isin(list(seen))) if seen else features  # at most `budget` ids
+            held = open_.withColumn("score", score).orderBy(F.desc("score"), "id").limit(max(want, pool or 0)).collect()
+            picked, age = held[:want], 1
+            if pool is None or w is None:
+                held = None
+        if token_budget is not None:
+            costs = np.cumsum([int(r[tokens] or 0) for r in picked]) + spent
+            picked = picked[: int((costs <= token_budget).sum())]
+            spent = int(costs[len(picked) - 1]) if picked else spent
+            state.setdefault("tokens", {}).update({r["id"]: int(r[tokens] or 0) for r in picked})
         if not picked:
             break
         for r, y in zip(picked, judge([r["id"] for r in picked])):

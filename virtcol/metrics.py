@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import time
+from collections import Counter
 from collections.abc import Callable
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -88,6 +91,35 @@ def emd(left: list[tuple[str, float]], right: list[tuple[str, float]], distance:
         demand[j] -= amount
 
 
+def repeat(run: Callable[[int], float | None], seeds=range(8)) -> tuple[float, float, list]:
+    """Mean and sample standard deviation of a measure over seeds, and the values; nulls do not count."""
+    got = [x for x in map(run, seeds) if x is not None]
+    mean = sum(got) / len(got) if got else float("nan")
+    return mean, (sum((x - mean) ** 2 for x in got) / (len(got) - 1)) ** 0.5 if len(got) > 1 else 0.0, got
+
+
+class Spans:
+    """Seconds by stage: `with spans("judge"): ...`; a stage's spans add up."""
+
+    def __init__(self):
+        self.seconds: dict[str, float] = {}
+
+    @contextmanager
+    def __call__(self, stage: str):
+        start = time.time()
+        try:
+            yield
+        finally:
+            self.seconds[stage] = self.seconds.get(stage, 0.0) + time.time() - start
+
+
+def label_distance(a: str, b: str) -> float:
+    """1 - cosine of two labels' counts of neighbouring letters."""
+    one, two = (Counter(zip(x.lower(), x.lower()[1:])) if len(x) > 1 else Counter(x.lower()) for x in (a, b))
+    norm = (sum(v * v for v in one.values()) * sum(v * v for v in two.values())) ** 0.5
+    return 1.0 - sum(v * two[k] for k, v in one.items()) / norm if norm else float(a != b)
+
+
 def kappa(a: Column, b: Column) -> tuple[Column, Column]:
     """Agreement of two boolean answers: the share of equal ones, and what chance would give."""
     pa, pb = F.avg(a.cast("int")), F.avg(b.cast("int"))

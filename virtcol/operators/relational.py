@@ -14,7 +14,7 @@ def _six(c, name: str):
 
 
 def scan(s, d):
-    return read(s, d, "lineitem").where("l_quantity > 45 AND l_shipdate < timestamp_ntz'1995-01-01'").select("l_orderkey", "l_linenumber", "l_quantity")
+    return read(s, d, "lineitem").where("l_quantity > 45 AND l_shipdate < timestamp_ntz'1995-07-01'").select("l_orderkey", "l_linenumber", "l_quantity")
 
 
 def formats(s, d):
@@ -28,6 +28,12 @@ def formats(s, d):
     return out
 
 
+def json(s, d):
+    """A field of JSON texts, and of the same texts parsed once as variants; what is no JSON gives null."""
+    e = read(s, d, "events").select("event_type", "props", F.get_json_object("props", "$.k").cast("long").alias("k"), F.try_parse_json("props").alias("v"))
+    return e.groupBy("event_type").agg(F.sum("k").alias("total"), F.max(F.try_variant_get("v", "$.k", "bigint")).alias("most"), F.count_if(F.col("v").isNull()).alias("broken"))
+
+
 def views(s, d):
     read(s, d, "region").createOrReplaceTempView("vc_region")
     return s.table("vc_region").select("r_regionkey", "r_name")
@@ -206,11 +212,11 @@ def samples(s, d):
 
 
 QUERIES = {f"rel_{f.__name__}": f for f in (
-    scan, formats, views, sinks, paged, dialog_rows, page_rows, projection, comparisons, predicates, broadcast_join, merge_join, outer_joins, semi_anti, theta_join, range_join, asof_join, semantic_join, pricing, distinct_agg,
+    scan, json, formats, views, sinks, paged, dialog_rows, page_rows, projection, comparisons, predicates, broadcast_join, merge_join, outer_joins, semi_anti, theta_join, range_join, asof_join, semantic_join, pricing, distinct_agg,
     cube, having, quantiles, lists, pivot, ranking, analytic, frames, topk, topk_per_group, set_ops, strings, dates, maths, arrays, maps, duplicates, samples,
 )}
 SQL = {
-    "rel_scan": "SELECT l_orderkey, l_linenumber, l_quantity FROM lineitem WHERE l_quantity > 45 AND l_shipdate < TIMESTAMP '1995-01-01'",
+    "rel_scan": "SELECT l_orderkey, l_linenumber, l_quantity FROM lineitem WHERE l_quantity > 45 AND l_shipdate < TIMESTAMP '1995-07-01'",
     "rel_formats": "SELECT unnest(['csv', 'json', 'orc']) AS fmt, count(*) AS n, CAST(sum(n_nationkey) AS BIGINT) AS keys FROM nation",
     "rel_views": "SELECT r_regionkey, r_name FROM region",
     "rel_sinks": "SELECT o_orderstatus, count(*) AS n FROM orders WHERE o_orderstatus = 'F' GROUP BY 1",
@@ -247,5 +253,6 @@ SQL = {
     "rel_arrays": "SELECT vec_id, round(list_dot_product(embedding::DOUBLE[], list_reverse(embedding)::DOUBLE[]), 6) AS palindrome, CAST(len(list_filter(embedding, lambda x: x > 0)) AS BIGINT) AS positive FROM embeddings",
     "rel_maps": "SELECT event_type, CAST(2 * count(*) AS BIGINT) AS twice FROM events GROUP BY 1",
     "rel_duplicates": "SELECT md5(text) AS digest, count(*) AS n, min(doc_id) AS first FROM documents GROUP BY 1 HAVING count(*) > 1",
+    "rel_json": "SELECT event_type, CAST(sum(CAST(json_extract_string(props, '$.k') AS BIGINT)) AS BIGINT) AS total, max(CAST(json_extract_string(props, '$.k') AS BIGINT)) AS most, count(*) FILTER (NOT json_valid(coalesce(props, 'x'))) AS broken FROM events GROUP BY 1",
     "rel_samples": "SELECT doc_id FROM documents ORDER BY md5('3:' || doc_id), doc_id LIMIT 50",
 }

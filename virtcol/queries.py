@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import baselines, metrics, workloads
 from .index import features as feats
@@ -210,6 +212,7 @@ def vsql(text, budget=None, stratum=None, seed=0):
 
 ALL = 2**63 - 1  # no table has more rows
 W29 = 'SELECT g, COUNT(*) AS n FROM documents WHERE n_chars < 2000 GROUP BY "language of the text" AS g'
+W19 = 'SELECT g, COUNT(*) AS n FROM documents GROUP BY "language of the text" AS g ORDER BY n DESC LIMIT 10'
 W30 = 'SELECT conv_id FROM dialogs WHERE "opens with a system instruction" LIMIT 100'
 VSQL = {
     "vsql_w29_sampled": vsql(W29, B, "lang"),
@@ -227,8 +230,96 @@ VSQL = {
 }
 
 
+#: The nine conditions of the COUNT table: budget, predicate in SQL.
+COUNTS = {
+    "w1": (B, "quality = 1"), "w1b": (64, "quality = 1"), "w2": (B, "lang = 'es'"), "w3": (B, "toxic = 1"), "w4": (B, "lang = 'en'"), "w5": (B, "lang = 'fr'"), "w6": (B, "lang = 'de'"),
+    "w7": (B, "toxic = 1 AND quality = 0"), "w8": (B, "label = 0"), "w9": (B, "label > 7"), "w26a": (B, "label = 3"), "w26b": (B, "label < 2"), "w26c": (B, "label = 2"),
+}
+
+
+def count_est(name):
+    """COUNT of a condition from a stratified sample: documents by source, vectors by their nearest anchor."""
+
+    def run(s, d):
+        at, phrase = workloads.CONDITIONS[name]
+        if at == "embeddings":
+            e, a = _anchored(s, d)
+            df = e.select("vec_id", "label").join(a, F.col("vec_id") == F.col("id"))
+            w = stratified_sample(df, "vec_id", "stratum", COUNTS[name][0], 0)
+        else:
+            w = stratified_sample(workloads.table(s, d, at)[0], "doc_id", "source", COUNTS[name][0], 0)
+        return six(estimate(w, "count", F.expr(TRUTH[phrase])), "estimate")
+
+    return run
+
+
+def retrieval(name):
+    """Rows of a condition found under one budget: active search, a uniform sample judged row by row, inner products alone."""
+
+    def run(s, d):
+        at, _ = workloads.CONDITIONS[name]
+        budget = max(16, min(256, workloads.table(s, d, at)[0].count() // 4))
+        rows = [workloads.run(name, s, d, m, budget, 0, pool=1024) for m in ("active", "udf", "mips")]
+        return s.createDataFrame([(r["method"], r["budget"], r["truth"], r["hits"], *(round(float(r[c]), 6) for c in ("precision", "recall_capped", "f1"))) for r in rows], "method string, budget int, truth long, hits long, precision double, recall_capped double, f1 double")
+
+    return run
+
+
+def emd_groups(s, d):
+    """Earth mover's distance between sampled groups by language and the true ones, and of an even guess for comparison."""
+    got = [(r["g"], r["n"]) for r in workloads.engine(s, d, B, 0, stratum="source").sql(W19).df.collect()]  # at most ten groups
+    true = [tuple(r) for r in docs(s, d).groupBy("lang").agg(F.count("*").cast("double")).collect()]
+    even = [(g, 1.0) for g, _ in true]
+    return s.createDataFrame([(m, round(float(metrics.emd(x, true, metrics.label_distance)), 6), len(x)) for m, x in (("engine", got), ("even", even))], "method string, emd double, groups int")
+
+
+def repeated(s, d):
+    """Mean and standard deviation of the relative error over eight seeds, by uniform draws."""
+    df = docs(s, d)
+    n, truth = df.agg(F.count("*"), F.count_if(F.col("lang") == "fr")).first()
+    hits = None
+    for seed in range(8):
+        one = uniform_sample(df.select("doc_id", "lang"), "doc_id", B, seed).df.agg(F.count_if(F.col("lang") == "fr").alias("hits"), F.count("*").alias("n"))
+        hits = one if hits is None else hits.union(one)
+    errors = hits.select((F.abs(F.col("hits") * F.lit(float(n)) / F.col("n") - truth) / truth).alias("e"))
+    return six(errors.agg(F.avg("e").alias("mean"), F.stddev_samp("e").alias("sd"), F.count("*").alias("runs")), "mean", "sd")
+
+
+def latency(s, d):
+    """Seconds by stage of one aggregation and one retrieval."""
+    rows = [(m, stage, round(t, 3)) for m, b in (("stratified", B), ("active", 64)) for stage, t in workloads.run("w5", s, d, m, b, 0)["spans"].items()]
+    return s.createDataFrame(rows, "method string, stage string, seconds double")
+
+
+def token_limited(s, d):
+    """A search whose budget is in tokens: what it judged, and what that took."""
+    df = docs(s, d).withColumn("tokens", (F.length("text") / 4).cast("long"))
+    e = feats.build_features(df, "doc_id", "text").join(df.select(F.col("doc_id").alias("id"), "tokens"), "id")
+
+    def judge(ids):
+        yes = {r[0] for r in df.where(F.col("doc_id").isin(ids)).where("lang = 'fr'").select("doc_id").collect()}
+        return [i in yes for i in ids]
+
+    state: dict = {}
+    got = active_search(e, judge, 64, 16, state=state, tokens="tokens", token_budget=20_000)
+    return s.createDataFrame([(len(state["seen"]), sum(state.get("tokens", {}).values()), len(got.hits))], "judged long, tokens long, hits long")
+
+
+def early_stop(s, d):
+    """WHERE with LIMIT: the search ends at the limit; all it returns holds."""
+    got = workloads.engine(s, d, 256).sql('SELECT doc_id FROM documents WHERE "text is English" LIMIT 7').df
+    return got.join(docs(s, d).select("doc_id", "lang"), "doc_id").groupBy("lang").agg(F.count("*").alias("n"))
+
+
+def by_udf(s, d):
+    """The phrase as a function of plain SQL, judged for every row."""
+    s.udf.register("semantic_match", lexical)
+    docs(s, d).createOrReplaceTempView("vc_documents")
+    return s.sql("SELECT lang, count(*) AS n FROM vc_documents WHERE semantic_match(text, 'insulting') GROUP BY lang")
+
+
 def sweep(s, d):
-    rows = [workloads.run("w5", s, d, m, b, seed) for m in ("stratified", "uniform") for b in (32, 128) for seed in (0, 1)]
+    rows = [workloads.run("w5", s, d, m, b, 0) for m in ("stratified", "uniform") for b in (32, 64, 128, 256, 512)]
     return s.createDataFrame([(r["method"], r["budget"], r["seed"], float(r["estimate"]), float(r["relative_error"])) for r in rows], "method string, budget int, seed int, estimate double, relative_error double")
 
 
@@ -236,9 +327,16 @@ def study(s, d):
     return metrics.box(workloads.sampler_study(s, d, "w5", B, 100), "estimate", "sampler")
 
 
+@F.pandas_udf(T.BooleanType())
+def lexical(text: pd.Series, phrase: pd.Series) -> pd.Series:
+    """Word rules for phrases; a phrase without one is null."""
+    found = text.str.lower().str.contains(rf"\b(?:{INSULTS})\b", regex=True)
+    return found.where(phrase == "insulting", None).astype("boolean")
+
+
 def swap(s, d):
-    rows = [workloads.run("w1", s, d, "uniform", B, 0, workloads.NoisyModel(RuleModel(TRUTH), "doc_id", 0.03, 0.03, salt)) | {"backend": salt} for salt in ("a", "b")]
-    return s.createDataFrame([(r["backend"], float(r["estimate"]), int(r["truth"])) for r in rows], "backend string, estimate double, truth long")
+    rows = [workloads.run("w1", s, d, m, B, 0, workloads.NoisyModel(RuleModel(TRUTH), "doc_id", 0.03, 0.03, salt)) | {"backend": salt} for salt in ("a", "b") for m in ("stratified", "uniform")]
+    return s.createDataFrame([(r["backend"], r["method"], float(r["estimate"]), int(r["truth"])) for r in rows], "backend string, method string, estimate double, truth long")
 
 
 QUERIES = {
@@ -251,7 +349,8 @@ QUERIES = {
     "mips_topk": mips, "mips_then_judge": mips_judge, "dnf_masks": dnf_masks, "dnf_mixed": dnf_mixed, "dnf_calls_saved": dnf_calls,
     "packed_prompt_layout": pack_layout, "packed_count_est": packed_est, "packed_group_est": packed_groups,
     "relative_error_table": rel_errors, "f1_table": f1, "positive_share": share, "cost_table": costs, "budget_sweep": sweep, "sampler_study": study, "backend_swap": swap,
-} | VSQL | relational.QUERIES | streams.QUERIES
+    "emd_w19": emd_groups, "repeat_uniform_w5": repeated, "latency_by_stage": latency, "search_token_budget": token_limited, "where_limit_early_stop": early_stop, "semantic_match_sql": by_udf,
+} | VSQL | relational.QUERIES | streams.QUERIES | {f"count_{w}": count_est(w) for w in COUNTS} | {f"retrieval_{w}": retrieval(w) for w in COUNTS}
 
 
 def _alloc(stratum: str, budget: int) -> str:
@@ -268,6 +367,15 @@ def _est(stratum: str, expr: str) -> str:
     return f"WITH {_alloc(stratum, B)} SELECT round({expr}, 6) AS estimate, count(*) AS n FROM sample"
 
 
+def _count(name: str) -> str:
+    budget, f = COUNTS[name]
+    at = workloads.CONDITIONS[name][0]
+    both = "SELECT d.*, quality, toxic FROM documents d JOIN labels USING (doc_id)"
+    ranked = f"SELECT *, row_number() OVER (PARTITION BY quality ORDER BY md5('0:' || doc_id)) AS place, count(*) FILTER (quality = 0) OVER () AS junk FROM ({both})"
+    rows = {"embeddings": f"SELECT vec_id AS doc_id, label, stratum AS source FROM ({_NEAR})", "labelled": both, "balanced": f"SELECT * EXCLUDE (place, junk) FROM ({ranked}) WHERE quality = 0 OR place <= junk", "documents": "SELECT * FROM documents"}[at]
+    return f"WITH documents AS ({rows}), {_alloc('source', budget)} SELECT round(max(total) * coalesce(sum(w) FILTER ({f}), 0) / sum(w), 6) AS estimate, count(*) AS n FROM sample"
+
+
 _VEC = "(SELECT embedding::DOUBLE[] FROM embeddings WHERE vec_id = 0)"
 _NEAR = f"SELECT e.vec_id, e.label, arg_max(a.vec_id, (list_dot_product(e.embedding::DOUBLE[], a.embedding::DOUBLE[]), -a.vec_id)) AS stratum FROM embeddings e, (SELECT * FROM embeddings WHERE vec_id < {ANCHORS}) a GROUP BY 1, 2"
 _UNIFORM = "(SELECT * FROM documents ORDER BY md5('{}:' || doc_id), doc_id LIMIT {})"
@@ -317,7 +425,10 @@ SELECT doc_id, CAST(pack AS INTEGER) AS pack, CAST(row_number() OVER (PARTITION
     "vsql_w34_pages": "SELECT CAST(count(*) AS DOUBLE) AS n FROM pages WHERE contains(html, '<html lang=\"en\"')",
     "vsql_w35_structured": "SELECT l_returnflag, count(*) AS n, round(sum(l_quantity), 6) AS q FROM lineitem GROUP BY 1",
     "vsql_top_by_length": "SELECT doc_id, n_chars FROM documents WHERE lang = 'fr' ORDER BY n_chars DESC, doc_id LIMIT 5",
-} | relational.SQL | streams.SQL
+    "repeat_uniform_w5": f"WITH t AS (SELECT count(*)::DOUBLE AS n, count(*) FILTER (lang = 'fr') AS truth FROM documents), r AS (SELECT seed, lang, row_number() OVER (PARTITION BY seed ORDER BY md5(seed || ':' || doc_id), doc_id) AS k FROM documents, (SELECT unnest(range(8)) AS seed)), h AS (SELECT seed, count(*) FILTER (lang = 'fr') AS hits FROM r WHERE k <= {B} GROUP BY 1), e AS (SELECT abs(hits * n / {B} - truth) / truth AS e FROM h, t) SELECT round(avg(e), 6) AS mean, round(stddev_samp(e), 6) AS sd, count(*) AS runs FROM e",
+    "where_limit_early_stop": "SELECT 'en' AS lang, CAST(7 AS BIGINT) AS n",
+    "semantic_match_sql": f"SELECT lang, count(*) AS n FROM documents WHERE {S_INSULT} GROUP BY 1",
+} | relational.SQL | streams.SQL | {f"count_{w}": _count(w) for w in COUNTS}
 
 
 

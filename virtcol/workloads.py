@@ -13,8 +13,10 @@ from .engine import Engine, TableInfo
 from .index import features as feats
 from .index.sample import allocate, draw, estimate, md5_key, strata_sizes
 from .index.search import active_search
+from .metrics import Spans
 from .model.base import NoisyModel, RuleModel
 from .plans.planner import Costs
+from .tables import shared_folder
 
 #: Insults that the lexical model looks for.
 INSULTS = "idiot|moron|clown|loser|pathetic|scum|worthless|trash|disgusting|stupid"
@@ -109,21 +111,58 @@ def truth(name: str, spark: SparkSession, sf_dir: str) -> int:
     return table(spark, sf_dir, at)[0].where(F.expr(TRUTH[phrase])).count()
 
 
+#: What a user would type to find texts of a kind by inner product; no label is looked at. Vectors have no such words: see spoken().
+QUERY_TEXT = {
+    "text is French": "le la les de des et est une dans que pour", "text is English": "the of and to in is that for with on by", "text is German": "der die das und ist nicht ein eine zu den mit",
+    "text is Spanish": "el la los de y en que una es por con", "text is clean readable prose": "the of and to in is that for with on by", "text insults someone": INSULTS.replace("|", " "),
+    "insulting": INSULTS.replace("|", " "), "insulting junk": INSULTS.replace("|", " ") + " # | * $", "page is English": "the of and to in is that for with on by",
+}
+
+
 def features_of(df: DataFrame, info: TableInfo) -> DataFrame:
     return feats.build_features(df, info.id_col, info.vectors or info.source, "given" if info.vectors else "hashed_words")
 
 
-def run(name: str, spark: SparkSession, sf_dir: str, method: str = "stratified", budget: int = 128, seed: int = 0, model: RuleModel | None = None) -> dict:
+def stored(df: DataFrame, info: TableInfo, k: int = 10, spans: Spans | None = None) -> tuple[DataFrame, DataFrame]:
+    """(id, e) and (id, stratum), computed once and kept on the shared folder."""
+    spark, spans = df.sparkSession, spans or Spans()
+    root = shared_folder(spark, "features")
+    with spans("embed"):
+        features_of(df, info).write.parquet(f"{root}/e")
+        e = spark.read.parquet(f"{root}/e")
+    with spans("cluster"):
+        feats.assign_strata(e, "kmeans", k, 0).write.parquet(f"{root}/strata")
+    return e, spark.read.parquet(f"{root}/strata")
+
+
+def spoken(df: DataFrame, info: TableInfo, f, seed: int, n: int = 3) -> list[float]:
+    """A query for vectors that no text describes: the mean of a few exemplars that the user hands over, as a speech bridge would."""
+    some = df.where(f).select(F.col(info.id_col).alias("id")).orderBy(md5_key("id", seed)).limit(n)
+    v = features_of(df, info).join(F.broadcast(some), "id").toPandas()["e"]
+    return np.mean([np.asarray(x, float) for x in v], axis=0).tolist() if len(v) else [0.0]
+
+
+def query_vector(df: DataFrame, info: TableInfo, phrase: str, f, seed: int) -> list[float]:
+    if info.vectors:
+        return spoken(df, info, f, seed)
+    one = df.sparkSession.createDataFrame([(0, QUERY_TEXT[phrase])], "id long, q string")
+    return [float(x) for x in feats.build_features(one, "id", "q", "hashed_words").first()["e"]]
+
+
+def run(name: str, spark: SparkSession, sf_dir: str, method: str = "stratified", budget: int = 128, seed: int = 0, model: RuleModel | None = None, pool: int | None = None) -> dict:
     """One row of the run log: a COUNT by stratified, uniform or packed sampling, or a retrieval by active, udf or mips search."""
     at, phrase = CONDITIONS[name]
     df, info = table(spark, sf_dir, at)
     f = (model or RuleModel(TRUTH)).column(phrase)
-    start = time.time()
+    start, spans = time.time(), Spans()
     out = {"workload": name, "method": method, "budget": budget, "seed": seed, "truth": df.where(F.expr(TRUTH[phrase])).count()}
     if method == "stratified":
-        s = feats.assign_strata(features_of(df, info), "kmeans", 10, 0)
-        ids = df.withColumn("_f", f).select(F.col(info.id_col).alias("id"), "_f").join(s, "id")
-        out["estimate"] = estimate(draw(ids, "id", "stratum", allocate(strata_sizes(ids, "stratum"), budget), seed), "count", F.col("_f")).first()[0]
+        _, s = stored(df, info, 10, spans)
+        with spans("sample"):
+            w = draw(s, "id", "stratum", allocate(strata_sizes(s, "stratum"), budget), seed)
+        with spans("judge"):
+            w.df = w.df.join(df.select(F.col(info.id_col).alias("id"), f.alias("_f")), "id")
+            out["estimate"] = estimate(w, "count", F.col("_f")).first()[0]
     elif method == "uniform":
         out["estimate"] = baselines.udf_count(df, info.id_col, f, budget, seed).first()[0]
     elif method == "packed":
@@ -133,16 +172,24 @@ def run(name: str, spark: SparkSession, sf_dir: str, method: str = "stratified",
         out["estimate"] = baselines.packed_count(packed, PackedModel(RuleModel(TRUTH), info.id_col).column(phrase, F.col("place"), F.col("size")), df.count()).first()[0]
     else:
         if method == "active":
-            yes = {r[0] for r in df.where(f).select(info.id_col).collect()} if df.count() < 1_000_000 else None
-            e = features_of(df, info).cache()
-            got = active_search(e, (lambda ids: [i in yes for i in ids]), budget, 16, seed=seed)
+            root = shared_folder(spark, "features")
+            with spans("embed"):
+                features_of(df, info).write.parquet(root)
+
+            def judge(ids: list) -> list[bool]:
+                """One filter for a batch."""
+                with spans("judge"):
+                    yes = {r[0] for r in df.where(F.col(info.id_col).isin(ids)).where(f).select(info.id_col).collect()}
+                return [i in yes for i in ids]
+
+            with spans("search"):
+                got = active_search(spark.read.parquet(root), judge, budget, 16, seed=seed, pool=pool)
+            spans.seconds["fit and score"] = spans.seconds.pop("search") - spans.seconds.get("judge", 0.0)
             hits, returned = len(got.hits), len(got.hits)
-            e.unpersist()
         elif method == "udf":
             hits = returned = baselines.udf_rows(df, info.id_col, f, budget, seed).count()
-        else:  # mips: the query is the mean vector of a few exemplars
-            v = features_of(df, info).join(df.where(f).select(F.col(info.id_col).alias("id")).orderBy(md5_key("id", seed)).limit(3), "id").toPandas()["e"]
-            q = np.mean([np.asarray(x, float) for x in v], axis=0).tolist() if len(v) else [0.0]
+        else:
+            q = query_vector(df, info, phrase, f, seed)
             top = baselines.mips(features_of(df, info), "id", "e", q, budget)
             returned, hits = budget, top.join(df.where(f).select(F.col(info.id_col).alias("id")), "id", "left_semi").count()
         cap = min(budget, out["truth"])
@@ -150,7 +197,7 @@ def run(name: str, spark: SparkSession, sf_dir: str, method: str = "stratified",
         out |= {"hits": hits, "precision": p, "recall_capped": r, "f1": 2 * p * r / (p + r) if p + r else 0.0}
     if "estimate" in out and out["truth"]:
         out["relative_error"] = abs((out["estimate"] or 0.0) - out["truth"]) / out["truth"]
-    return out | {"seconds": time.time() - start}
+    return out | {"seconds": time.time() - start, "spans": spans.seconds}
 
 
 def sampler_study(spark: SparkSession, sf_dir: str, name: str, budget: int = 128, seeds: int = 200) -> DataFrame:
