@@ -28,9 +28,10 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, add_columns, arrow_pass, documents, per_process, row_key, text_or_empty
 
-KEY = b"virtcol"
 EXCEPTIONS = 100_000
 ATTEMPTS = 8
+#: The session setting that holds the secret of the registered query and the pipeline, and what stands in for it where it is unset (tests, demonstrations: anyone could invert those surrogates).
+KEY_SETTING, DEMONSTRATION = "spark.virtcol.surrogates.key", "demonstration only"
 
 #: Kinds in the order in which they are looked for; a later one never starts inside an earlier one.
 KINDS = {
@@ -120,7 +121,7 @@ def permute(x: int, size: int, key: bytes) -> int:
 
 
 @lru_cache(100_000)
-def surrogate(kind: str, s: str, attempt: int = 0, key: bytes = KEY) -> str:
+def surrogate(kind: str, s: str, key: bytes, attempt: int = 0) -> str:
     """The entity's replacement; for one attempt and key a permutation of all entities of its kind and form."""
     can = places(kind, s)
     at = [i for i, a in enumerate(can) if a]
@@ -144,31 +145,37 @@ def surrogate(kind: str, s: str, attempt: int = 0, key: bytes = KEY) -> str:
             return got
 
 
+def session_key(spark: SparkSession) -> bytes:
+    """The secret of a session: 32 bytes from its setting."""
+    return hashlib.blake2b(spark.conf.get(KEY_SETTING, DEMONSTRATION).encode(), digest_size=32).digest()
+
+
 def entities(text: str) -> list[tuple[str, str, int, int]]:
     """(kind, entity, start, end) in order."""
     return [(m.lastgroup, m[0], m.start(), m.end()) for m in FINDER.finditer(text)] if HINT.search(text) else []
 
 
-def rewrite(text: str, exceptions: dict) -> tuple[str, int]:
+def rewrite(text: str, exceptions: dict, key: bytes) -> tuple[str, int]:
     found = entities(text)
     out, at = [], 0
     for kind, s, a, b in found:
-        out += [text[at:a], surrogate(kind, s, exceptions.get((kind, s), 0))]
+        out += [text[at:a], surrogate(kind, s, key, exceptions.get((kind, s), 0))]
         at = b
     return "".join([*out, text[at:]]), len(found)
 
 
-def _proposals(entity: DataFrame) -> DataFrame:
-    """(kind, entity, attempt) with its surrogate."""
+def _proposals(entity: DataFrame, key: bytes) -> DataFrame:
+    """(kind, entity, attempt) with its surrogate and its form, within which surrogates are permuted."""
 
     def make():
         def each(b: pa.RecordBatch) -> pa.RecordBatch:
-            made = [surrogate(k, s, a) for k, s, a in zip(*(b.column(i).to_pylist() for i in range(3)))]
-            return pa.RecordBatch.from_arrays([*b.columns, pa.array(made, pa.string())], names=["kind", "entity", "attempt", "surrogate"])
+            made = [surrogate(k, s, key, a) for k, s, a in zip(*(b.column(i).to_pylist() for i in range(3)))]
+            forms = ["".join(c if a is None else f"<{a}>" for c, a in zip(s, places(k, s))) for k, s in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
+            return pa.RecordBatch.from_arrays([*b.columns, pa.array(made, pa.string()), pa.array(forms, pa.string())], names=["kind", "entity", "attempt", "surrogate", "form"])
 
         return each
 
-    return arrow_pass(entity.select("kind", "entity", "attempt"), "kind string, entity string, attempt int, surrogate string", make)
+    return arrow_pass(entity.select("kind", "entity", "attempt").repartition("kind", "entity"), "kind string, entity string, attempt int, surrogate string, form string", make)
 
 
 def occurrences(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -184,28 +191,30 @@ def occurrences(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return arrow_pass(docs.select(row_key(id_col, text_col), text_or_empty(text_col)), "key binary, kind string, entity string", make)
 
 
-def collisions(found: DataFrame, scratch: Scratch) -> DataFrame:
+def collisions(found: DataFrame, scratch: Scratch, key: bytes) -> DataFrame:
     """(kind, entity, attempt) of entities that need another permutation than the first.
 
-    A surrogate may be no entity of the corpus and no other entity's surrogate.  After ATTEMPTS the last one stands: in
-    a full space, as that of addresses may be, none is free.
+    A surrogate may be no entity of the corpus and no other entity's surrogate.  A form that still has collisions after
+    ATTEMPTS is crowded, as that of addresses may be: all its entities go back to the first permutation, where surrogates
+    differ from each other, though one may be another real entity.  So different entities never get one surrogate.
     """
     every = scratch.keep(found.select("kind", "entity").distinct(), "entities")
-    now = scratch.keep(_proposals(every.withColumn("attempt", F.lit(0))), "proposals")
+    now = scratch.keep(_proposals(every.withColumn("attempt", F.lit(0)), key), "proposals")
     for _ in range(ATTEMPTS):
         taken = now.join(every.select("kind", F.col("entity").alias("surrogate")), ["kind", "surrogate"], "left_semi").select("kind", "entity")
         twice = now.groupBy("kind", "surrogate").agg(F.count("*").alias("n"), F.max(F.struct(F.col("attempt") * -1, "entity")).alias("stays")).where("n > 1")
         clash = now.join(twice, ["kind", "surrogate"]).where(F.col("entity") != F.col("stays.entity")).select("kind", "entity")
         bad = scratch.keep(taken.union(clash).distinct(), "bad")
         if bad.isEmpty():
-            break
+            return now.where("attempt > 0").select("kind", "entity", "attempt")
         again = now.join(bad, ["kind", "entity"], "left_semi").select("kind", "entity", (F.col("attempt") + 1).alias("attempt"))
-        now = scratch.keep(now.join(bad, ["kind", "entity"], "left_anti").unionByName(_proposals(again)), "proposals")
-    return now.where("attempt > 0").select("kind", "entity", "attempt")
+        now = scratch.keep(now.join(bad, ["kind", "entity"], "left_anti").unionByName(_proposals(again, key)), "proposals")
+    crowded = now.join(bad, ["kind", "entity"], "left_semi").select("kind", "form").distinct()
+    return now.join(crowded, ["kind", "form"], "left_anti").where("attempt > 0").select("kind", "entity", "attempt")
 
 
-def replace(docs: DataFrame, most: int = EXCEPTIONS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with its text rewritten and n_entities.
+def replace(docs: DataFrame, key: bytes, most: int = EXCEPTIONS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs with its text rewritten under a secret key (up to 64 bytes) and n_entities.
 
     Null texts stay null and have 0 entities; texts without entities stay as they are.  Repeated rows are rewritten alike.
     A column n_entities of docs is replaced.
@@ -213,7 +222,7 @@ def replace(docs: DataFrame, most: int = EXCEPTIONS, id_col: str = "doc_id", tex
     spark = docs.sparkSession
     scratch = Scratch(spark, "pii")
     found = scratch.keep(occurrences(docs, id_col, text_col), "found")
-    odd = scratch.keep(collisions(found, scratch), "exceptions")
+    odd = scratch.keep(collisions(found, scratch, key), "exceptions")
     order = [f.name for f in docs.schema.fields if f.name != "n_entities"]
     token = uuid.uuid4().hex
     few = odd.count() <= most
@@ -235,7 +244,7 @@ def replace(docs: DataFrame, most: int = EXCEPTIONS, id_col: str = "doc_id", tex
             out, counts = [], []
             for t in texts:
                 odd, _, text = t.decode("utf-8", "replace").partition("\x00")
-                text, n = rewrite(text, {(k, e): int(a) for k, e, a in json.loads(odd)} if odd else held)
+                text, n = rewrite(text, {(k, e): int(a) for k, e, a in json.loads(odd)} if odd else held, key)
                 out.append(text)
                 counts.append(n)
             return [out, counts]
@@ -247,4 +256,4 @@ def replace(docs: DataFrame, most: int = EXCEPTIONS, id_col: str = "doc_id", tex
 
 
 def op3_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return replace(documents(spark, sf_dir).select("doc_id", "text"))
+    return replace(documents(spark, sf_dir).select("doc_id", "text"), session_key(spark))
