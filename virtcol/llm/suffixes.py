@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, arrow_pass, documents, row_key, text_or_empty
+from .common import Scratch, arrow_pass, bounded_broadcast, documents, row_key, text_or_empty
 
 WIDTH = 400
 GRAM = 64
@@ -34,6 +34,9 @@ SLICES = 8
 #: Windows handled at once; places in a block fit the low bits that break ties between equal hashes.
 BLOCK = 1 << 19
 LOW = (1 << 20) - 1
+#: A digit that more rows share is told to them by a broadcast of at most MOST_HOT such digits.
+HOT = 5_000
+MOST_HOT = 500_000
 
 
 class Anchors:
@@ -103,7 +106,19 @@ def _spans(text: bytes, ranges: list[tuple[int, int]], width: int) -> tuple[int,
     return removed, spans, keep.hexdigest()
 
 
-def cut_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def told(rows: DataFrame, key: str, made, hot: int, scratch: Scratch) -> DataFrame:
+    """rows with aggregates of their key's rows beside each.
+
+    Keys of more than `hot` rows, of which there are at most the rows' number divided by `hot`, are broadcast if that is
+    not too many; so a key that many rows share lands in no single task.
+    """
+    made = made if isinstance(made, list) else [made]
+    per_key = scratch.keep(rows.groupBy(key).agg(F.count("*").alias("__n"), *made), f"per_{key}")
+    crowded = bounded_broadcast(per_key.where(F.col("__n") > hot).drop("__n"), MOST_HOT)
+    return rows.join(crowded, key).unionByName(rows.join(crowded, key, "left_anti").join(per_key.where(F.col("__n") <= hot).drop("__n"), key))
+
+
+def cut_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT) -> DataFrame:
     """(id, n_bytes, n_removed, n_spans, kept_sha256) of every row: its UTF-8 bytes without those that a string of `width` bytes covers which also starts elsewhere.
 
     Matches lie within texts; strings are judged on the input.  Null texts are empty.  Rows equal in id and text are
@@ -135,8 +150,9 @@ def cut_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, id_col: s
     again = runs.groupBy("anchor").count().where("count > 1").select("anchor")
     met = scratch.keep(runs.join(again, "anchor", "left_semi"), "met")
     whole = met.groupBy("anchor", "whole").agg(F.count("*").alias("n"), F.min(F.struct("key", "p0")).alias("one"))
-    has_open = whole.groupBy("anchor").agg(F.max(F.col("n") == 1).alias("has_open"))
-    judged = met.join(whole.join(has_open, "anchor"), ["anchor", "whole"]).select("key", "p0", "p1", "at", "windows", (F.col("n") > 1).alias("done"), (F.col("has_open") & ((F.col("n") == 1) | (F.struct("key", "p0") == F.col("one")))).alias("use"))
+    whole = scratch.keep(whole, "whole")
+    marked = told(whole, "anchor", F.max(F.col("n") == 1).alias("has_open"), hot, scratch)
+    judged = met.join(marked, ["anchor", "whole"]).select("key", "p0", "p1", "at", "windows", (F.col("n") > 1).alias("done"), (F.col("has_open") & ((F.col("n") == 1) | (F.struct("key", "p0") == F.col("one")))).alias("use"))
     lists = judged.groupBy("key").agg(F.max("windows").alias("windows"), F.collect_set(F.struct("p0", "p1", "at", "done", "use")).alias("runs"))
     covered = F.aggregate("runs", F.lit(0), lambda s, r: s + F.when(r["done"], r["p1"] - r["p0"] + 1).otherwise(0)) == F.col("windows")
     lists = scratch.keep(lists.select("key", "runs", (covered).alias("all")), "lists")
@@ -164,9 +180,10 @@ def cut_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, id_col: s
 
     parts = scratch.keep(arrow_pass(texts.select("key", "text", "runs"), "key binary, p0 int, p1 int, core long, whole binary, open boolean", slices), "slices")
     whole2 = parts.groupBy("core", "whole").agg(F.count("*").alias("n"), F.min(F.struct("key", "p0")).alias("one"), F.max("open").alias("any"))
-    cores = whole2.groupBy("core").agg(F.sum("n").alias("total"), F.max((F.col("n") == 1) & F.col("any")).alias("has_open")).where("total > 1").drop("total")
+    whole2 = scratch.keep(whole2, "whole_slices")
+    cores = told(whole2, "core", [F.sum("n").alias("total"), F.max((F.col("n") == 1) & F.col("any")).alias("has_open")], hot, scratch).where("total > 1").drop("total")
     settled = scratch.keep(
-        parts.join(whole2.join(cores, "core"), ["core", "whole"])
+        parts.join(cores, ["core", "whole"])
         .select("key", "p0", "p1", (F.col("open") & (F.col("n") > 1)).alias("hit"), (F.col("has_open") & ((F.col("n") == 1) | (F.struct("key", "p0") == F.col("one")))).alias("use"), (F.col("open") & (F.col("n") == 1)).alias("open"))
         .where("hit OR use"),
         "settled",
