@@ -147,8 +147,7 @@ def cut_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, id_col: s
         return each
 
     runs = scratch.keep(arrow_pass(keyed.where(F.octet_length("text") >= width), "key binary, p0 int, p1 int, at int, anchor long, whole binary, windows int", find), "runs")
-    again = runs.groupBy("anchor").count().where("count > 1").select("anchor")
-    met = scratch.keep(runs.join(again, "anchor", "left_semi"), "met")
+    met = scratch.keep(told(runs, "anchor", F.count("*").alias("again"), hot, scratch).where("again > 1").drop("again"), "met")
     whole = met.groupBy("anchor", "whole").agg(F.count("*").alias("n"), F.min(F.struct("key", "p0")).alias("one"))
     whole = scratch.keep(whole, "whole")
     marked = told(whole, "anchor", F.max(F.col("n") == 1).alias("has_open"), hot, scratch)
