@@ -206,3 +206,102 @@ def test_queries_without_labels_find_more_than_chance(spark):
     """Inner products with a query of common words, which looks at no label."""
     r = workloads.run("w5", spark, "/root/testdata/sf0.01", "mips", 100)
     assert r["hits"] > 2 * 100 * r["truth"] / 1000
+
+
+def small_engine(spark, model=None, n=60, budget=20, **options):
+    from virtcol.engine import Engine, TableInfo
+    from virtcol.model.base import RuleModel
+
+    rows = [(i, f"row {i} " + ("red" if i % 3 == 0 else "blue"), "ab"[i % 2], f"k{i % 4}") for i in range(n)]
+    df = spark.createDataFrame(rows, "id long, text string, s string, kind string")
+    e = Engine(spark, model or RuleModel({"is red": "text like '%red'", "is even": "id % 2 = 0"}), Costs(budget, budget, 4), **options)
+    e.register("t", df, TableInfo("id", "text", "rows", ("kind",), {"its kind": "kind", "its colour": "split(text, ' ')[2]"}, stratum="s"))
+    return e
+
+
+def test_plans_spend_what_they_say(spark):
+    from virtcol.lang.parser import parse
+    from virtcol.plans import planner
+
+    text = 'SELECT "its kind", COUNT(*) AS n FROM t WHERE "is red" GROUP BY "its kind"'
+    e = small_engine(spark)
+    spent = {}
+    for p in planner.enumerate_plans(parse(text), 20.0, e.costs):
+        r = e.sql(text, p)
+        spent[p.fused] = r.meter.calls
+        assert abs(sum(x["n"] for x in r.df.select(F.col(r.df.columns[1]).alias("n")).collect()) - 20) < 12
+    assert spent[("extract+classify", "proposal")] < spent[("proposal",)] and spent[("extract+classify", "proposal")] < spent[("extract+classify",)] < spent[()]
+
+
+def test_limit_unfused_judges_the_whole_budget(spark):
+    from virtcol.lang.parser import parse
+    from virtcol.plans import planner
+
+    text = 'SELECT id FROM t WHERE "is red" LIMIT 2'
+    e = small_engine(spark, batch=4)
+    plans = {p.fused: e.sql(text, p) for p in planner.enumerate_plans(parse(text), 60.0, e.costs)}
+    assert plans[("limit",)].meter.calls < plans[()].meter.calls == 20
+    assert all(r.df.count() == 2 and all(x["id"] % 3 == 0 for x in r.df.collect()) for r in plans.values())
+
+
+def test_order_of_phrases_saves_calls(spark):
+    text = 'SELECT COUNT(*) AS n FROM t WHERE "is even" AND "is red"'
+    plain, told = small_engine(spark, budget=100).sql(text), small_engine(spark, budget=100, selectivity={"is even": 0.5, "is red": 0.33}).sql(text)
+    assert plain.df.first()["n"] == told.df.first()["n"] == 10
+    assert plain.meter.calls == 60 + 30 and told.meter.calls == 60 + 20
+
+
+def test_a_called_model_is_asked_for_open_rows_alone(spark, tmp_path):
+    from virtcol.model.base import CallableModel, StoredModel
+
+    log = str(tmp_path / "asked")
+
+    def says(phrase, text):
+        with open(log, "a") as f:
+            f.write(f"{phrase}|{text}\n")
+        return text.endswith("red") if phrase == "is red" else int(text.split()[1]) % 2 == 0
+
+    text = 'SELECT COUNT(*) AS n FROM t WHERE s = "a" AND "is red" AND "is even" OR s = "b" AND "is red"'
+    model = CallableModel(says, "text", parallel=4)
+    r = small_engine(spark, model, budget=100).sql(text)
+    assert r.df.first()["n"] == 20 and r.meter.calls == 60 + 10
+    assert len(open(log).read().splitlines()) == 70
+    kept = StoredModel(model, "id", "text", "file://" + str(tmp_path / "answers"))
+    for again in (70, 0):
+        kept.asked = 0
+        assert small_engine(spark, kept, budget=100).sql(text).df.first()["n"] == 20
+        assert kept.asked == again
+    assert len(open(log).read().splitlines()) == 140
+
+
+def test_select_extracts_what_is_left(spark):
+    e = small_engine(spark, allow_virtual_sort=True)
+    r = e.sql('SELECT id, "its colour" AS c, "its kind" AS k FROM t WHERE s = "a" ORDER BY id LIMIT 4')
+    assert [tuple(x) for x in r.df.collect()] == [(0, "red", "k0"), (2, "blue", "k2"), (4, "blue", "k0"), (6, "red", "k2")]
+    assert r.meter.calls == 4
+    by = e.sql('SELECT id FROM t WHERE s = "a" ORDER BY "its colour" DESC LIMIT 3').df.collect()
+    assert all(x["id"] % 3 == 0 for x in by)
+
+
+def test_intervals_cover(spark):
+    inside = 0
+    for seed in range(20):
+        e = small_engine(spark, seed=seed)
+        row = e.sql('SELECT COUNT(*) AS n FROM t WHERE "is red"').intervals().first()
+        inside += row["low"] <= 20 <= row["high"]
+    assert inside >= 16
+
+
+def test_explain_and_prompts(spark):
+    e = small_engine(spark)
+    text = 'SELECT id FROM t WHERE s = "a" AND "is red" LIMIT 3'
+    assert "tokens" in e.explain(text) and "dollars" in e.explain(text) and "Physical Plan" in e.explain(text)
+    assert [x.step for x in e.prompts(text)] == ["where"] and "{row}" in e.prompts(text)[0].template
+
+
+def test_two_levels_number_cells(spark):
+    rows = [(i, [float(10 * (i % 2)), float(i % 4 // 2)]) for i in range(40)]
+    from virtcol.index.features import assign_strata
+
+    got = assign_strata(spark.createDataFrame(rows, "id long, e array<float>"), "two_level", 2, 0, k2=2).toPandas().set_index("id")["stratum"]
+    assert got.nunique() == 4 and all(got[i] // 2 == got[i + 2] // 2 for i in range(38))

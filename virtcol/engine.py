@@ -9,11 +9,13 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .index import features as feats
-from .index.sample import WeightedFrame, draw, allocate, estimate, md5_key, strata_sizes
+from .index.sample import WeightedFrame, draw, allocate, estimate, intervals, md5_key, strata_sizes
 from .index.search import active_search, ordered_probe
 from .lang.parser import Agg, Col, IntLit, Phrase, Query, Star, parse
 from .model.base import Meter, RuleModel
 from .plans import planner
+from .plans.prompts import Backend, PromptCall, instantiate
+from .tables import shared_folder
 
 
 @dataclass
@@ -35,6 +37,29 @@ class Result:
     meter: Meter
     plan: planner.Plan
     trace: list = field(default_factory=list)
+    sample: WeightedFrame | None = None  # what an aggregate over phrases was estimated from
+    exact: DataFrame | None = None  # rows that stored columns alone decide
+    shape: tuple = ()  # (group names, group columns of exact, aggregates)
+
+    def intervals(self, z: float = 1.96) -> DataFrame:
+        """For each COUNT and SUM a row per group: estimate, standard error and normal bounds; rows that were counted exactly add no error."""
+        if self.sample is None:
+            raise ValueError("nothing was estimated")
+        names, keys, aggs = self.shape
+        out = None
+        for agg, name in aggs:
+            if agg.op == "avg":
+                continue
+            value = None if agg.arg == "*" else F.col(agg.arg)
+            sure = self.exact.groupBy(*(k.alias(n) for k, n in zip(keys, names))).agg((F.count("*").cast("double") if value is None else F.count(value).cast("double") if agg.op == "count" else F.coalesce(F.sum(value.cast("double")), F.lit(0.0))).alias("estimate"), F.lit(0.0).alias("stderr"))
+            f = F.col("_f") if value is None else F.col("_f") & value.isNotNull()
+            both = intervals(self.sample, "count" if agg.op == "count" else "sum", f, value, names).select(*names, "estimate", "stderr").unionByName(sure)
+            one = both.groupBy(*names).agg(F.sum("estimate").alias("estimate"), F.sum("stderr").alias("stderr"))
+            one = one.select(F.lit(name).alias("aggregate"), *names, "estimate", "stderr", (F.col("estimate") - z * F.col("stderr")).alias("low"), (F.col("estimate") + z * F.col("stderr")).alias("high"))
+            out = one if out is None else out.unionByName(one)
+        if out is None:
+            raise ValueError("the query has no COUNT or SUM")
+        return out
 
 
 def paired(a: DataFrame, b: DataFrame, names: list[str]) -> DataFrame:
@@ -46,8 +71,9 @@ def paired(a: DataFrame, b: DataFrame, names: list[str]) -> DataFrame:
 
 
 class Engine:
-    def __init__(self, spark: SparkSession, model: RuleModel, costs: planner.Costs = planner.Costs(), seed: int = 0, strata: int = 10, batch: int = 16):
+    def __init__(self, spark: SparkSession, model: RuleModel, costs: planner.Costs = planner.Costs(), seed: int = 0, strata: int = 10, batch: int = 16, selectivity: dict[str, float] | None = None, allow_virtual_sort: bool = False):
         self.spark, self.model, self.costs, self.seed, self.strata, self.batch = spark, model, costs, seed, strata, batch
+        self.selectivity, self.allow_virtual_sort = selectivity or {}, allow_virtual_sort  # shares that phrases are thought to hold for; 0.5 unless given
         self.tables: dict[str, tuple[DataFrame, TableInfo]] = {}
 
     def register(self, name: str, df: DataFrame, info: TableInfo) -> None:
@@ -67,30 +93,51 @@ class Engine:
     def explain(self, sql: str) -> str:
         q = parse(sql)
         df, info = self.tables[q.table]
-        plan = planner.best(q, df.count(), self.costs)
-        return f"{plan.kind}: {plan}"
+        rows, length = df.agg(F.count("*"), F.coalesce(F.avg(F.length(F.col(info.source).cast("string"))), F.lit(0.0))).first()
+        plan = planner.best(q, rows, self.costs)
+        tokens, meter = plan.cost * length / 4, Meter()
+        meter.add(0, int(tokens), int(plan.cost))
+        order = " then ".join(planner.phrase_order(q.where, self.selectivity)) or "nothing"
+        decided, live = planner.masks(q.where)
+        kept = self._reached(df, q).where(decided | (live != 0))
+        spark_plan = kept._jdf.queryExecution().explainString(kept.sparkSession._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("simple"))
+        return f"{plan.kind}: {plan}\nasked in this order: {order}\nabout {tokens:.0f} tokens, {meter.usd:.6f} dollars\nrows that reach the model or need none:\n{spark_plan}"
+
+    def prompts(self, sql: str, backend: Backend = Backend()) -> list[PromptCall]:
+        """What a backend would be sent for the query."""
+        q = parse(sql)
+        return instantiate(planner.best(q, float(self.costs.row_budget), self.costs), q, self.tables[q.table][1], backend, self.costs)
 
-    def sql(self, text: str) -> Result:
-        return self.run(parse(text))
+    def _reached(self, df: DataFrame, q: Query) -> DataFrame:
+        some = planner.reachable(q.where)
+        return df if some is None else df.where(some)
 
-    def run(self, q: Query) -> Result:
+    def sql(self, text: str, plan: planner.Plan | None = None) -> Result:
+        return self.run(parse(text), plan)
+
+    def run(self, q: Query, plan: planner.Plan | None = None) -> Result:
+        """Runs the given plan, one of planner.enumerate_plans, or the cheapest."""
         df, info = (self.spark.read.parquet(q.table), TableInfo("id", "text")) if q.path else self.tables[q.table]
         visible = [c for c in df.columns if c not in info.hidden]
-        kind = planner.bind(q, visible)
+        if q.path and df.columns and "id" not in df.columns:
+            info = TableInfo(df.columns[0], self.suggest_context(df) or df.columns[0])
+        kind = planner.bind(q, visible, self.allow_virtual_sort)
         meter = Meter()
         semantic = planner.phrases(q.where)
         virtual = bool(semantic) or any(isinstance(x, Phrase) for x in (*q.select, *q.group))
         decided, live = planner.masks(q.where)
-        kept = df.withColumns({"_decided": decided, "_live": live}).where(F.col("_decided") | (F.col("_live") != 0))
-        plan = planner.best(q, float(self.costs.row_budget), self.costs)
+        kept = self._reached(df, q).withColumns({"_decided": decided, "_live": live}).where(F.col("_decided") | (F.col("_live") != 0))
+        plan = plan or planner.best(q, float(self.costs.row_budget), self.costs)
+        result = Result(kept, meter, plan)
         if kind == planner.AGGREGATE:
-            out = self._aggregate(q, kept, info, semantic, virtual, meter)
+            out = self._aggregate(q, kept, info, semantic, virtual, meter, plan, result)
             trace = []
         else:
             out, trace = self._rows(q, kept, info, semantic, meter, plan, visible)
         if q.into:
             out.createOrReplaceTempView(q.into)
-        return Result(out, meter, plan, trace)
+        result.df, result.trace = out, trace
+        return result
 
     # Aggregates: decided rows are counted exactly; a budget of the open ones is drawn, judged once and weighed.
 
@@ -114,23 +161,21 @@ class Engine:
         """All rows with `_f`, for a budget that covers them: nothing but the meter's sums comes to the driver."""
         if not semantic:
             return df.withColumn("_f", F.lit(True))
-        answers = {p: F.col(f"_p{i}") for i, p in enumerate(semantic)}
-        asked = self.model.judge(df, semantic)
-        if not isinstance(self.model, RuleModel):
-            asked = asked.persist()  # a row is asked once
+        asked = planner.judge_residual(df, where, self.model, planner.phrase_order(where, self.selectivity))
+        if not isinstance(self.model, RuleModel):  # a row is asked once
+            root = shared_folder(self.spark, "judged")
+            asked.write.parquet(root)
+            asked = self.spark.read.parquet(root)
         tokens = F.coalesce((F.length(F.col(info.source).cast("string")) / 4).cast("long"), F.lit(0))
-        cost = planner.calls(where, answers, F.col("_live"))
-        n, t = asked.agg(F.coalesce(F.sum(cost), F.lit(0)), F.coalesce(F.sum(cost * tokens), F.lit(0))).first()
+        n, t = asked.agg(F.coalesce(F.sum("_calls"), F.lit(0)), F.coalesce(F.sum(F.col("_calls") * tokens), F.lit(0))).first()
         meter.add(int(n), int(t), int(n))
-        return asked.withColumn("_f", F.coalesce(F.col("_decided"), F.lit(False)) | planner.residual(where, answers, F.col("_live")))
+        return asked
 
     def _judged(self, df: DataFrame, where: tuple, semantic: list[str], meter: Meter, info: TableInfo) -> DataFrame:
         """The (few) rows with `_f`, their truth, judged once: the answers come to the driver and go back as a local table."""
         if not semantic:
             return df.withColumn("_f", F.lit(True))
-        asked = self.model.judge(df, semantic)
-        answers = {p: F.col(f"_p{i}") for i, p in enumerate(semantic)}
-        made = asked.withColumns({"_f": F.coalesce(F.col("_decided"), F.lit(False)) | planner.residual(where, answers, F.col("_live")), "_calls": planner.calls(where, answers, F.col("_live"))})
+        made = planner.judge_residual(df, where, self.model, planner.phrase_order(where, self.selectivity))
         rows = made.select(info.id_col, "_f", "_calls", (F.length(F.col(info.source).cast("string")) / 4).cast("long").alias("_t")).toPandas()
         meter.add(int(rows["_calls"].sum()), int((rows["_calls"] * rows["_t"].fillna(0)).sum()), int(rows["_calls"].sum()))
         if not len(rows):
@@ -138,20 +183,22 @@ class Engine:
         local = self.spark.createDataFrame(rows[[info.id_col, "_f"]], made.select(info.id_col, "_f").schema)
         return df.join(F.broadcast(local), info.id_col)
 
-    def _grouped(self, sample: WeightedFrame, phrase: str, info: TableInfo, meter: Meter, whole: bool) -> Column:
+    def _grouped(self, sample: WeightedFrame, phrase: str, info: TableInfo, meter: Meter, whole: bool, proposal: DataFrame | None, extracted: bool) -> Column:
         """An array with each row's categories of a phrase: the model names them from a few hits, dealt over the strata, and then classifies the rows against them.
 
-        Where the budget covers all rows, a rule model's categories are those of all hits.
+        Where the budget covers all rows, a rule model's categories are those of all hits.  proposal: hits of a draw of
+        the taxonomy's own, where the plan does not share the sample.  extracted: the plan reads the phrase's value with a
+        call of its own before it classifies, rather than in one.
         """
         hits = sample.df.where("_f")
         turn = F.row_number().over(Window.partitionBy("_stratum").orderBy(md5_key(info.id_col, self.seed), info.id_col))
-        few = hits.withColumn("_turn", turn).orderBy("_turn", "_stratum").limit(self.costs.taxonomy_rows)
+        few = hits.withColumn("_turn", turn).orderBy("_turn", "_stratum").limit(self.costs.taxonomy_rows) if proposal is None else proposal.limit(self.costs.taxonomy_rows)
         taxonomy = None if whole and isinstance(self.model, RuleModel) else self.model.propose(few, phrase, info)
         n = hits.count()
-        meter.add(bool(n) + n, 0, n * max(1, len(taxonomy or ())))
+        meter.add(bool(n) + n * (1 + extracted), 0, n * (max(1, len(taxonomy or ())) + extracted))
         return self.model.classify(hits, phrase, info, taxonomy)
 
-    def _aggregate(self, q: Query, kept: DataFrame, info: TableInfo, semantic: list[str], virtual: bool, meter: Meter) -> DataFrame:
+    def _aggregate(self, q: Query, kept: DataFrame, info: TableInfo, semantic: list[str], virtual: bool, meter: Meter, plan: planner.Plan, result: Result) -> DataFrame:
         keys, names = [], []
         for i, g in enumerate(q.group):
             keys.append(F.col(f"_g{i}") if isinstance(g, Phrase) else F.col(g.name))
@@ -174,7 +221,13 @@ class Engine:
         grouped_phrases = [(i, g.text) for i, g in enumerate(q.group) if isinstance(g, Phrase)]
         if grouped_phrases:  # a row counts in each of its categories, so weights are scaled before rows are multiplied
             whole = sample.population <= budget
-            found = {f"_g{i}": self._grouped(sample, text, info, meter, whole) for i, text in grouped_phrases}
+            own = None
+            if not whole and semantic and "proposal" not in plan.fused:
+                rows = open_.orderBy(md5_key(info.id_col, self.seed + 1), info.id_col).limit(int(self.costs.taxonomy_rows / self.costs.selectivity))
+                own = self._judged(rows, q.where, semantic, meter, info).where("_f")
+            shown = {x.text for x in q.select if isinstance(x, Phrase)}
+            apart = "select" in plan.steps and "extract+classify" not in plan.fused
+            found = {f"_g{i}": self._grouped(sample, text, info, meter, whole, own, apart and text in shown) for i, text in grouped_phrases}
             sums = sample.df.agg(F.sum("_w")).first()[0] or 1.0
             rows = sample.df.where("_f").withColumn("_w", F.col("_w") * F.lit(sample.population / sums)).withColumns(found)
             for c in found:
@@ -183,6 +236,7 @@ class Engine:
             exact = exact.withColumns({c: F.lit(None).cast("string") for c in found})
         named = [k.alias(n) for k, n in zip(keys, names)]
         base = WeightedFrame(sample.df.withColumns({n: k for k, n in zip(keys, names)}), sample.population, sample.sizes, sample.drawn)
+        result.sample, result.exact, result.shape = base, exact, (names, keys, aggs)
         parts = None
         for x, n in aggs or [(Agg("count", "*"), "count")]:
             value = None if x.arg == "*" else F.col(x.arg)
@@ -244,36 +298,55 @@ class Engine:
                 left = None if limit is None else limit - len(free or [])
                 if left is None or left > 0:
                     e = feats.build_features(open_, info.id_col, info.vectors or info.source, "given" if info.vectors else "hashed_words").cache()
-                    got = active_search(e, judge, self.costs.row_budget, self.batch, limit=left, seed=self.seed)
+                    got = active_search(e, judge, self.costs.row_budget, self.batch, limit=left if "limit" in plan.fused else None, seed=self.seed)
                     e.unpersist()
                     hits, trace = got.hits, got.trace
                 chosen = kept.where(F.col(info.id_col).isin([*hits, *free])) if free is not None else kept.where(F.col("_decided") | F.col(info.id_col).isin(hits))
                 found = chosen
         else:
             found = kept
-        extracted = [x for x in q.select if isinstance(x, Phrase)]
+        # SELECT's phrases are read off the rows that are left at the end, all of a row's in one call.
+        wanted = list(dict.fromkeys(x.text for x in (*q.select, *q.order) if isinstance(x, Phrase)))
+        sorts_by_phrase = any(isinstance(x, Phrase) for x in q.order)
+
+        def item(x) -> Column:
+            return F.col(f"_x{wanted.index(x.text)}") if isinstance(x, Phrase) else F.lit(x.value) if isinstance(x, IntLit) else F.col(x.name)
+
+        names = {x.alias: x for x in q.select if getattr(x, "alias", None)}
+
+        def sort_item(x) -> Column:
+            if isinstance(x, IntLit):
+                return item(q.select[x.value - 1]) if not isinstance(q.select[x.value - 1], Star) else F.col(visible[0])
+            return item(names[x.name]) if isinstance(x, Col) and x.name in names else item(x)
+
+        sorts_by_phrase = sorts_by_phrase or any(isinstance(x, Col) and isinstance(names.get(x.name), Phrase) or isinstance(x, IntLit) and isinstance(q.select[x.value - 1], Phrase) for x in q.order)
+        order = lambda d: d.orderBy(*(c.desc() if q.desc else c for c in map(sort_item, q.order))) if q.order else d
+        cut = lambda d: d.limit(q.limit) if q.limit is not None else d
+        out = found if sorts_by_phrase else cut(order(found))
+        if wanted:
+            out = self._extracted(out, wanted, info, meter)
+        if sorts_by_phrase or wanted and q.order:
+            out = cut(order(out))
         shown = []
         for i, x in enumerate(q.select):
             if isinstance(x, Star):
                 shown += [F.col(c) for c in visible]
             elif isinstance(x, IntLit):
                 shown.append(F.lit(x.value).alias(f"lit_{x.value}"))
-            elif isinstance(x, Phrase):
-                shown.append(F.expr(info.labels[x.text]).alias(x.alias or f"phrase_{i}"))
             else:
-                shown.append(F.col(x.name).alias(x.alias or x.name))
-        names = {x.name for x in q.order if isinstance(x, Col)}
-        extra = [F.col(n).alias(f"_o_{n}") for n in names]
-        out = found.select(*shown, *extra)
-        if q.order:
-            by = [F.col(out.columns[x.value - 1]) if isinstance(x, IntLit) else F.col(f"_o_{x.name}") for x in q.order]
-            out = out.orderBy(*(c.desc() if q.desc else c for c in by))
-        if q.limit is not None:
-            out = out.limit(q.limit)
-        if extracted:
-            n = q.limit if q.limit is not None else self.costs.row_budget
-            meter.add(n, 0, n)
-        return out.drop(*(f"_o_{n}" for n in names)), trace
+                shown.append(item(x).alias(x.alias or (f"phrase_{i}" if isinstance(x, Phrase) else x.name)))
+        return out.select(*shown), trace
+
+    def _extracted(self, df: DataFrame, wanted: list[str], info: TableInfo, meter: Meter) -> DataFrame:
+        """df with `_x0`, `_x1`, ...: one call a row for all phrases; a model that is no rule is asked once, and its answers are kept on the shared folder."""
+        out = self.model.extract(df, wanted, info)
+        if not isinstance(self.model, RuleModel):
+            root = shared_folder(self.spark, "extracted")
+            out.write.parquet(root)
+            out = self.spark.read.parquet(root)
+        n, t = out.agg(F.count("*"), F.coalesce(F.sum((F.length(F.col(info.source).cast("string")) / 4).cast("long")), F.lit(0))).first()
+        meter.add(int(n), int(t), int(n) * len(wanted))
+        return out
 
 
 class Fluent:

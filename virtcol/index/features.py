@@ -65,10 +65,12 @@ def nearest_anchor(vectors: DataFrame, anchors: list[tuple[int, list[float]]], i
     return vectors.select(F.col(id_col).alias("id"), (-F.array_max(scored)["i"]).alias("stratum"))
 
 
-def fit_kmeans(features: DataFrame, k: int, seed: int = 0, sample: int = 20_000, rounds: int = 20) -> np.ndarray:
-    """Centroids from at most `sample` rows (the first by a hash of the id)."""
-    rows = features.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(sample).select("e").toPandas()["e"]
-    x = np.array(rows.tolist(), np.float32) if len(rows) else np.zeros((0, 1), np.float32)
+def nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
+    return np.argmin((c * c).sum(1) - 2 * x @ c.T, axis=1)
+
+
+def lloyd(x: np.ndarray, k: int, seed: int = 0, rounds: int = 20) -> np.ndarray:
+    """At most k centroids of the rows of x, by k-means from distinct rows."""
     rng = np.random.default_rng(seed)
     c = np.unique(x, axis=0)
     c = c[rng.permutation(len(c))[:k]]
@@ -81,6 +83,12 @@ def fit_kmeans(features: DataFrame, k: int, seed: int = 0, sample: int = 20_000,
     return c
 
 
+def fit_kmeans(features: DataFrame, k: int, seed: int = 0, sample: int = 20_000, rounds: int = 20) -> np.ndarray:
+    """Centroids from at most `sample` rows (the first by a hash of the id)."""
+    rows = features.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(sample).select("e").toPandas()["e"]
+    return lloyd(np.array(rows.tolist(), np.float32) if len(rows) else np.zeros((0, 1), np.float32), k, seed, rounds)
+
+
 def assign(features: DataFrame, centroids: np.ndarray) -> DataFrame:
     """(id, stratum) by nearest centroid: map only, the centroids travel with the task."""
 
@@ -92,6 +100,29 @@ def assign(features: DataFrame, centroids: np.ndarray) -> DataFrame:
     return features.select("id", near("e").alias("stratum"))
 
 
+def two_level(features: DataFrame, k: int, k2: int, seed: int = 0, sample: int = 20_000) -> DataFrame:
+    """(id, stratum): k coarse cells and within each at most k2 fine ones of its own; a row is compared with k + k2 centroids, not k * k2. Strata are numbered cell * k2 + fine."""
+    coarse = fit_kmeans(features, k, seed, sample)
+    rows = features.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(sample).select("e").toPandas()["e"]
+    x = np.array(rows.tolist(), np.float32) if len(rows) else np.zeros((0, 1), np.float32)
+    cell = nearest(x, coarse) if len(coarse) else np.zeros(0, int)
+    fine = [lloyd(x[cell == c], k2, seed + 1 + c) for c in range(len(coarse))]
+
+    @F.pandas_udf("int")
+    def near(e: pd.Series) -> pd.Series:
+        if not len(e):
+            return pd.Series([], dtype="int32")
+        v = np.array(e.tolist(), np.float32).reshape(len(e), -1)
+        at = nearest(v, coarse)
+        out = at * k2
+        for c in np.unique(at):
+            if len(fine[c]):
+                out[at == c] += nearest(v[at == c], fine[c])
+        return pd.Series(out.astype(np.int32))
+
+    return features.select("id", near("e").alias("stratum"))
+
+
 def silhouette(x: np.ndarray, label: np.ndarray) -> float:
     """Simplified: own centroid against the nearest other."""
     c = np.stack([x[label == k].mean(axis=0) for k in np.unique(label)])
@@ -113,7 +144,7 @@ def assign_strata(features: DataFrame, method: str = "kmeans", k: int = 10, seed
         fits = [(silhouette(x, np.argmin((c * c).sum(1) - 2 * x @ c.T, axis=1)), -n, c) for n in options.get("range", (4, 8, 16)) for c in [fit_kmeans(features, n, seed)]]
         return assign(features, max(fits, key=lambda f: f[:2])[2])
     if method == "two_level":
-        return assign(features, fit_kmeans(features, k * options.get("k2", 10), seed))
+        return two_level(features, k, options.get("k2", 10), seed)
     return assign(features, fit_kmeans(features, k, seed))
 
 

@@ -6,6 +6,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def md5_key(id_col: str, seed: int | str) -> Column:
@@ -171,3 +172,22 @@ def standard_error(sample: WeightedFrame, f: Column, agg: str = "count", value:
         size, n = sample.sizes[r["_stratum"]], r["n"]
         var += (size / sample.population) ** 2 * (1 - n / size) * (r["s2"] if n > 1 else pooled) / n
     return scale * max(0.0, var) ** 0.5
+
+
+def intervals(sample: WeightedFrame, agg: str = "count", f: Column | None = None, value: Column | None = None, by: list[str] | None = None, z: float = 1.96) -> DataFrame:
+    """Estimate, standard error and normal bounds of a stratified COUNT or SUM, for each group in one pass.
+
+    A row outside the group counts as 0 in its stratum, so groups need no draw of their own; a stratum with one drawn row
+    takes the square of its value as variance.
+    """
+    by = by or []
+    y = (F.lit(1.0) if value is None or agg == "count" else F.coalesce(value.cast("double"), F.lit(0.0))) * F.when(F.coalesce(f, F.lit(False)) if f is not None else F.lit(True), 1.0).otherwise(0.0)
+    stratum = sample.df.schema["_stratum"].dataType
+    shape = T.StructType([T.StructField("_k", stratum), T.StructField("_size", T.DoubleType()), T.StructField("_drawn", T.DoubleType())])
+    strata = sample.df.sparkSession.createDataFrame([(k, float(sample.sizes[k]), float(n)) for k, n in sample.drawn.items()], shape)  # a row per stratum
+    sums = sample.df.groupBy(*by, "_stratum").agg(F.sum(y).alias("_a"), F.sum(y * y).alias("_b"))
+    each = sums.join(F.broadcast(strata), F.col("_stratum").eqNullSafe(F.col("_k")))
+    n, size = F.col("_drawn"), F.col("_size")
+    spread = F.when(n > 1, F.greatest(F.lit(0.0), F.col("_b") - F.col("_a") * F.col("_a") / n) / (n - 1)).otherwise(F.col("_b"))
+    out = each.groupBy(*by).agg(F.coalesce(F.sum(size / n * F.col("_a")), F.lit(0.0)).alias("estimate"), F.coalesce(F.sqrt(F.sum(size * size * (1 - n / size) * spread / n)), F.lit(0.0)).alias("stderr"))
+    return out.withColumns({"low": F.col("estimate") - z * F.col("stderr"), "high": F.col("estimate") + z * F.col("stderr")})

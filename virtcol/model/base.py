@@ -3,10 +3,13 @@
 from __future__ import annotations
 
 import re
+import time
+import uuid
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -56,6 +59,18 @@ class RuleModel:
         """df with a column for each phrase, `_p0`, `_p1`, ..."""
         return df.withColumns({f"_p{i}": self.column(p) for i, p in enumerate(phrases)})
 
+    def answer(self, df: DataFrame, phrase: str, need: str, out: str) -> DataFrame:
+        """df with `out`: the phrase's answer for rows where `need` holds, null elsewhere."""
+        return df.withColumn(out, F.when(F.col(need), self.column(phrase)))
+
+    def extract(self, df: DataFrame, phrases: list[str], info) -> DataFrame:
+        """df with a value for each phrase, `_x0`, `_x1`, ...; null where a row holds none."""
+        return df.withColumns({f"_x{i}": F.expr(info.labels[p]) for i, p in enumerate(phrases)})
+
+    def summarize(self, rows: DataFrame, phrase: str, info) -> list[tuple[str, int]]:
+        """(category, rows) of the (few) rows, largest first: what one prompt over all of them returns."""
+        got = rows.select(F.explode(self._labels(rows, phrase, info)).alias("g")).groupBy("g").count().collect()
+        return sorted(((r[0], r[1]) for r in got), key=lambda g: (-g[1], g[0]))
 
     def _labels(self, df: DataFrame, phrase: str, info) -> Column:
         """What the model sees of a phrase in a row: distinct labels, perhaps none."""
@@ -108,8 +123,8 @@ class PackedModel:
 class CallableModel:
     """A caller's own function from a phrase and a text to an answer; tries again, and counts calls. Used on samples only."""
 
-    def __init__(self, fn, source: str, tries: int = 3):
-        self.fn, self.source, self.tries, self.name = fn, source, tries, "callable"
+    def __init__(self, fn, source: str, tries: int = 3, parallel: int = 1, rate: float | None = None):
+        self.fn, self.source, self.tries, self.parallel, self.rate, self.name = fn, source, tries, parallel, rate, "callable"
 
     def column(self, phrase: str) -> Column:
         fn, tries = self.fn, self.tries
@@ -131,6 +146,49 @@ class CallableModel:
 
     judge = RuleModel.judge
 
+    def answer(self, df: DataFrame, phrase: str, need: str, out: str) -> DataFrame:
+        """Calls are made for rows where `need` holds alone; a task's calls run `parallel` at a time, at most `rate` a second."""
+        fn, tries, parallel, pause = self.fn, self.tries, self.parallel, 1.0 / self.rate if self.rate else 0.0
+
+        @F.pandas_udf("boolean")
+        def ask(texts: pd.Series, needed: pd.Series) -> pd.Series:
+            def one(t):
+                for k in range(tries):
+                    try:
+                        return fn(phrase, t)
+                    except (OSError, TimeoutError):
+                        if k + 1 == tries:
+                            raise
+
+            todo = [i for i, n in enumerate(needed) if n is not None and bool(n)]
+            said: list = [None] * len(texts)
+            with ThreadPoolExecutor(max(1, parallel)) as pool:
+                waiting = []
+                for i in todo:
+                    waiting.append(pool.submit(one, texts.iloc[i]))
+                    if pause:
+                        time.sleep(pause)
+                for i, w in zip(todo, waiting):
+                    said[i] = w.result()
+            return pd.Series(said, dtype="object")
+
+        return df.withColumn(out, ask(F.col(self.source).cast("string"), F.col(need)))
+
+    def extract(self, df: DataFrame, phrases: list[str], info) -> DataFrame:
+        """All phrases share one prompt a row; the reply has a line for each."""
+        fn, about, n = self.fn, info.about, len(phrases)
+
+        @F.pandas_udf("array<string>")
+        def ask(texts: pd.Series) -> pd.Series:
+            return texts.map(lambda t: parse_lines(fn(extract_prompt(about, phrases, t or ""), t), n))
+
+        return df.withColumn("_reply", ask(F.col(self.source).cast("string"))).withColumns({f"_x{i}": F.get("_reply", F.lit(i)) for i in range(n)}).drop("_reply")
+
+    def summarize(self, rows: DataFrame, phrase: str, info) -> list[tuple[str, int]]:
+        texts = [r[0] or "" for r in rows.select(F.col(self.source).cast("string")).collect()]
+        reply = self.fn(packed_prompt("groups", info.about, phrase, texts), "\n".join(texts)) if texts else ""
+        return [(name, n) for name, _, n in parse_group_table(reply)]
+
     def propose(self, rows: DataFrame, phrase: str, info) -> list[str]:
         """A taxonomy from one prompt about the (few) rows."""
         texts = [r[0] or "" for r in rows.select(F.col(self.source).cast("string")).collect()]
@@ -164,6 +222,41 @@ class CachedModel:
         return {i: self.store[phrase, i] for i in ids}
 
 
+class StoredModel(RuleModel):
+    """A model whose answers are kept as Parquet by (model, phrase, id, text's hash): a row that was paid for is not asked again, in this run or a later one.
+
+    Each call of `answer` writes what was new before it is read, so a task that is lost and run again asks nobody twice.
+    It writes to a folder of its own: Spark takes two scans of one folder for equal, even if files came between them.
+    """
+
+    SCHEMA = "model string, phrase string, id string, text_hash long, said boolean"
+
+    def __init__(self, base, id_col: str, source: str, path: str):
+        self.base, self.id_col, self.source, self.path, self.name, self.asked = base, id_col, source, path, f"stored {base.name}", 0
+
+    def column(self, phrase: str) -> Column:
+        return self.base.column(phrase)
+
+    def _kept(self, spark: SparkSession, phrase: str) -> DataFrame:
+        root = spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        fs = root.getFileSystem(spark._jsc.hadoopConfiguration())
+        parts = sorted(x.getPath().toString() for x in fs.listStatus(root)) if fs.exists(root) else []  # one per call of answer
+        kept = spark.read.schema(self.SCHEMA).parquet(*parts) if parts else spark.createDataFrame([], self.SCHEMA)
+        mine = kept.where((F.col("model") == self.base.name) & (F.col("phrase") == phrase))
+        return mine.groupBy(F.col("id").alias("_kid"), F.col("text_hash").alias("_khash")).agg(F.first("said").alias("_said"))
+
+    def answer(self, df: DataFrame, phrase: str, need: str, out: str) -> DataFrame:
+        spark = df.sparkSession
+        on = F.col("_rid").eqNullSafe(F.col("_kid")) & (F.col("_rhash") == F.col("_khash"))
+        rows = df.withColumns({"_rid": F.col(self.id_col).cast("string"), "_rhash": F.xxhash64(F.col(self.source).cast("string"))})
+        new = rows.where(F.col(need)).join(self._kept(spark, phrase), on, "left_anti").dropDuplicates(["_rid", "_rhash"])
+        fresh = self.base.answer(new, phrase, need, "_said").select(F.lit(self.base.name).alias("model"), F.lit(phrase).alias("phrase"), F.col("_rid").alias("id"), F.col("_rhash").alias("text_hash"), F.col("_said").alias("said"))
+        seen = Observation()
+        fresh.observe(seen, F.count("*").alias("n")).write.parquet(f"{self.path}/{uuid.uuid4().hex}")
+        self.asked += seen.get["n"]
+        return rows.join(self._kept(spark, phrase), on, "left").withColumn(out, F.when(F.col(need), F.col("_said"))).drop("_rid", "_rhash", "_kid", "_khash", "_said")
+
+
 # Prompts and replies.
 
 
@@ -177,6 +270,17 @@ def packed_prompt(task: str, about: str, phrase: str, rows: list[str]) -> str:
     return f"You read {len(rows)} numbered records of a table: {about}.\n{body}\n\nConsider: {phrase}.\n{want}"
 
 
+def extract_prompt(about: str, phrases: list[str], row: str) -> str:
+    body = "\n".join(f"{i}: {p}" for i, p in enumerate(phrases))
+    return f"You read one record of a table: {about}.\nRecord:\n{row}\n\nFind these in it:\n{body}\nReply with one line for each, in this order: its value alone, or a dash where the record holds none."
+
+
+def parse_lines(reply: str | None, n: int) -> list[str | None]:
+    """n values, a line each; numbering is dropped, dashes and missing lines are null."""
+    lines = [re.sub(r"^\s*\d+\s*[:.)]\s*", "", x).strip() for x in (reply or "").strip().splitlines()][:n]
+    return [None if x in ("", "-") else x for x in lines] + [None] * (n - len(lines))
+
+
 def classify_prompt(about: str, phrase: str, row: str, taxonomy: list[str]) -> str:
     body = "\n".join(f"{i}: {t}" for i, t in enumerate(taxonomy))
     return f"You read one record of a table: {about}.\nRecord:\n{row}\n\nWhich of these fit its {phrase}?\n{body}\nReply with their numbers, separated by commas, or with none."

@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import re
+
 import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import baselines, metrics, workloads
+from .functions import udfs
 from .index import features as feats
 from .index.sample import allocate, estimate, importance_estimate, importance_sample, optimal_count, standard_error, strata_sizes, stratified_sample, uniform_sample
 from .index.search import active_search, ordered_probe
@@ -339,6 +342,100 @@ def swap(s, d):
     return s.createDataFrame([(r["backend"], r["method"], float(r["estimate"]), int(r["truth"])) for r in rows], "backend string, method string, estimate double, truth long")
 
 
+def interval(s, d):
+    """COUNT with its standard error and bounds, by the dialect."""
+    return six(workloads.engine(s, d, B, 0, stratum="source").sql('SELECT COUNT(*) AS n FROM documents WHERE "text is French"').intervals().select("estimate", "stderr", "low", "high"), "estimate", "stderr", "low", "high")
+
+
+def dialog_topics(s, d):
+    """SELECT of a phrase under a structured and a virtual condition: what is returned holds, with its value."""
+    got = workloads.engine(s, d, 64).sql('SELECT conv_id, "topic of the dialog" AS topic FROM dialogs WHERE n_turns > 1 AND "opens with a system instruction" LIMIT 5').df
+    first = read(s, d, "conversations").where("turn = 0").select("conv_id", "role")
+    return got.join(first, "conv_id").groupBy("role").agg(F.count("*").alias("n"), F.count("topic").alias("topics"))
+
+
+def plan_costs(s, d):
+    """Calls that each legal plan of one query really spends."""
+    text = 'SELECT g, COUNT(*) AS n FROM documents WHERE "insulting" GROUP BY "language of the text" AS g'
+    rows = []
+    for p in planner.enumerate_plans(parse(text), float(B), planner.Costs(B, B)):
+        r = workloads.engine(s, d, B, 0, stratum="source").sql(text, p)
+        rows.append((" ".join(p.steps), ",".join(p.fused), float(p.cost), r.meter.calls, r.df.count()))
+    return s.createDataFrame(rows, "steps string, fused string, expected double, calls long, groups long")
+
+
+def prompts(s, d):
+    """What a backend would be sent for one query, a row per kind of prompt."""
+    made = workloads.engine(s, d).prompts('SELECT g, COUNT(*) AS n FROM documents WHERE "insulting" GROUP BY "language of the text" AS g')
+    return s.createDataFrame([(x.step, x.phrase, x.source, x.rows) for x in made], "step string, phrase string, source string, n_rows int")
+
+
+def study_of(name):
+    return lambda s, d: metrics.box(workloads.sampler_study(s, d, name, B, 200), "estimate", "sampler")
+
+
+def curves_of(name):
+    """Median and quartiles of the hit rate over eight searches, beside the share of positives."""
+
+    def run(s, d):
+        at, phrase = workloads.CONDITIONS[name]
+        share = metrics.positive_share(workloads.table(s, d, at)[0], F.expr(TRUTH[phrase])).select("share")
+        return metrics.curve_quartiles(metrics.hit_rate_curve(workloads.learning_curves(s, d, name))).crossJoin(F.broadcast(share))
+
+    return run
+
+
+def sweep_of(name):
+    """Retrieval by budget, active search and row-by-row judging; `enough` is the least budget at which a method reaches the best F1 of the latter."""
+
+    def run(s, d):
+        rows = [workloads.run(name, s, d, m, b, 0, pool=512) for m in ("active", "udf") for b in (32, 64, 128, 256)]
+        top = max(r["f1"] for r in rows if r["method"] == "udf")
+        enough = {m: min((r["budget"] for r in rows if r["method"] == m and r["f1"] >= top), default=None) for m in ("active", "udf")}
+        return s.createDataFrame([(r["method"], r["budget"], r["hits"], float(r["f1"]), r["seconds"], enough[r["method"]]) for r in rows], "method string, budget int, hits long, f1 double, seconds double, enough int")
+
+    return run
+
+
+def agreement(s, d):
+    """Two backends that err for different rows: the share of equal answers, what chance gives, and kappa."""
+    a, b = (workloads.NoisyModel(RuleModel(TRUTH), "doc_id", 0.03, 0.03, salt).column("text is French") for salt in ("a", "b"))
+    same, chance = metrics.kappa(F.col("a"), F.col("b"))
+    got = docs(s, d).select(a.alias("a"), b.alias("b")).agg(same.alias("same"), chance.alias("chance"))
+    return six(got.withColumn("kappa", (F.col("same") - F.col("chance")) / (1 - F.col("chance"))), "same", "chance", "kappa")
+
+
+def packed_ids(s, d):
+    """Rows by long prompts: the ids that a model that forgets names."""
+    return baselines.packed_rows(_packs(s, d), PackedModel(RuleModel(TRUTH), "doc_id").column("text is French", F.col("place"), F.col("size"))).select("doc_id")
+
+
+def moments(s, d):
+    w = stratified_sample(docs(s, d), "doc_id", "source", B, 0)
+    return six(udfs.weighted_moments(w.df, "n_chars", "_w", ["source"]), "mean", "variance")
+
+
+def lexical_client():
+    found = re.compile(rf"\b(?:{INSULTS})\b", re.IGNORECASE)
+    return lambda phrase, texts: [bool(found.search(t)) for t in texts]
+
+
+def judged_batches(s, d):
+    got = udfs.judge_batches(docs(s, d).select("doc_id", "text"), "text", "insulting", lexical_client)
+    return got.where("said").select("doc_id")
+
+
+def judged_partitions(s, d):
+    return udfs.judge_partitions(docs(s, d), "doc_id", "text", "insulting", lexical_client).where("said").select(F.col("id").alias("doc_id"))
+
+
+def turns(s, d):
+    """Transcripts taken apart again by a table function."""
+    udfs.register(s, lambda t, p: bool(t))
+    workloads.dialogs(s, d).createOrReplaceTempView("vc_dialogs")
+    return s.sql("SELECT t.role, count(*) AS n FROM vc_dialogs, LATERAL transcript_turns(transcript) t WHERE t.turn = 0 GROUP BY t.role")
+
+
 QUERIES = {
     "count_full_scan_es": full_scan("lang = 'es'"), "count_full_scan_fr": full_scan(S_FR), "count_full_scan_insults": full_scan(TRUTH["insulting"]), "sum_avg_full_scan_fr": sum_avg_full_scan,
     "uniform_count_est": uniform_est, "udf_baseline_count": udf_count, "udf_baseline_rows": udf_rows,
@@ -350,7 +447,9 @@ QUERIES = {
     "packed_prompt_layout": pack_layout, "packed_count_est": packed_est, "packed_group_est": packed_groups,
     "relative_error_table": rel_errors, "f1_table": f1, "positive_share": share, "cost_table": costs, "budget_sweep": sweep, "sampler_study": study, "backend_swap": swap,
     "emd_w19": emd_groups, "repeat_uniform_w5": repeated, "latency_by_stage": latency, "search_token_budget": token_limited, "where_limit_early_stop": early_stop, "semantic_match_sql": by_udf,
-} | VSQL | relational.QUERIES | streams.QUERIES | {f"count_{w}": count_est(w) for w in COUNTS} | {f"retrieval_{w}": retrieval(w) for w in COUNTS}
+    "vsql_interval": interval, "vsql_w30_topics": dialog_topics, "plan_costs": plan_costs, "prompt_calls": prompts, "backend_agreement": agreement, "packed_rows": packed_ids,
+    "weighted_moments": moments, "judge_batches": judged_batches, "judge_partitions": judged_partitions, "transcript_turns": turns,
+} | {f"sampler_study_{w}": study_of(w) for w in ("w1", "w2", "w4")} | {f"learning_curves_{w}": curves_of(w) for w in ("w5", "w7", "w8", "w9")} | {f"retrieval_sweep_{w}": sweep_of(w) for w in ("w1b", "w4")} | VSQL | relational.QUERIES | streams.QUERIES | {f"count_{w}": count_est(w) for w in COUNTS} | {f"retrieval_{w}": retrieval(w) for w in COUNTS}
 
 
 def _alloc(stratum: str, budget: int) -> str:
@@ -380,6 +479,20 @@ _VEC = "(SELECT embedding::DOUBLE[] FROM embeddings WHERE vec_id = 0)"
 _NEAR = f"SELECT e.vec_id, e.label, arg_max(a.vec_id, (list_dot_product(e.embedding::DOUBLE[], a.embedding::DOUBLE[]), -a.vec_id)) AS stratum FROM embeddings e, (SELECT * FROM embeddings WHERE vec_id < {ANCHORS}) a GROUP BY 1, 2"
 _UNIFORM = "(SELECT * FROM documents ORDER BY md5('{}:' || doc_id), doc_id LIMIT {})"
 _LIC = "CASE WHEN contains(text, 'Apache License') THEN 'apache' WHEN contains(text, 'MIT License') THEN 'mit' WHEN contains(text, 'General Public License') OR contains(text, 'GPL') THEN 'gpl' WHEN contains(text, 'Creative Commons') OR contains(text, 'CC BY') THEN 'cc' END"
+_PACKED = f"""WITH RECURSIVE o AS (SELECT doc_id, least(n_chars // 4, 2000) AS t, row_number() OVER (ORDER BY md5('0:' || doc_id), doc_id) AS i FROM {_UNIFORM.format(0, 64)}),
+f(i, doc_id, used, pack) AS (SELECT i, doc_id, t, 0 FROM o WHERE i = 1 UNION ALL SELECT o.i, o.doc_id, CASE WHEN f.used + o.t > 2000 THEN o.t ELSE f.used + o.t END, CASE WHEN f.used + o.t > 2000 THEN f.pack + 1 ELSE f.pack END FROM f JOIN o ON o.i = f.i + 1),
+laid AS (SELECT doc_id, pack, row_number() OVER (PARTITION BY pack ORDER BY i) AS place, count(*) OVER (PARTITION BY pack) AS size FROM f)"""
+
+
+def _unit(salt: str) -> str:
+    return f"(('0x' || substr(md5('{salt}:' || doc_id), 1, 8))::BIGINT / 4294967296.0::DOUBLE)"
+
+
+def _noisy(salt: str) -> str:
+    return f"CASE WHEN lang = 'fr' THEN {_unit(salt + ':text is French')} >= 0.03 ELSE {_unit(salt + ':text is French')} < 0.03 END"
+
+
+_KEPT = f"lang = 'fr' AND {_unit('packed:text is French')} >= 0.6::DOUBLE * place / size"
 _DECIDED, _L1, _L2 = "(n_chars > 3000 AND lang = 'en')", "source = 'src3'", "TRUE"
 SQL = {
     "count_full_scan_es": "SELECT count(*) AS n FROM documents WHERE lang = 'es'",
@@ -426,6 +539,16 @@ SELECT doc_id, CAST(pack AS INTEGER) AS pack, CAST(row_number() OVER (PARTITION
     "vsql_w35_structured": "SELECT l_returnflag, count(*) AS n, round(sum(l_quantity), 6) AS q FROM lineitem GROUP BY 1",
     "vsql_top_by_length": "SELECT doc_id, n_chars FROM documents WHERE lang = 'fr' ORDER BY n_chars DESC, doc_id LIMIT 5",
     "repeat_uniform_w5": f"WITH t AS (SELECT count(*)::DOUBLE AS n, count(*) FILTER (lang = 'fr') AS truth FROM documents), r AS (SELECT seed, lang, row_number() OVER (PARTITION BY seed ORDER BY md5(seed || ':' || doc_id), doc_id) AS k FROM documents, (SELECT unnest(range(8)) AS seed)), h AS (SELECT seed, count(*) FILTER (lang = 'fr') AS hits FROM r WHERE k <= {B} GROUP BY 1), e AS (SELECT abs(hits * n / {B} - truth) / truth AS e FROM h, t) SELECT round(avg(e), 6) AS mean, round(stddev_samp(e), 6) AS sd, count(*) AS runs FROM e",
+    "vsql_interval": f"WITH {_alloc('source', B)}, c AS (SELECT g, max(n)::DOUBLE AS n, max(k)::DOUBLE AS k, count(*) FILTER (lang = 'fr')::DOUBLE AS a FROM sample GROUP BY g), e AS (SELECT sum(n / k * a) AS e, sqrt(sum(n * n * (1 - k / n) * CASE WHEN k > 1 THEN (a - a * a / k) / (k - 1) ELSE a END / k)) AS s FROM c) SELECT round(e, 6) AS estimate, round(s, 6) AS stderr, round(e - 1.96 * s, 6) AS low, round(e + 1.96 * s, 6) AS high FROM e",
+    "vsql_w30_topics": "SELECT 'system' AS role, CAST(5 AS BIGINT) AS n, CAST(5 AS BIGINT) AS topics",
+    "prompt_calls": "SELECT * FROM (VALUES ('where', 'insulting', 'text', 1), ('taxonomy', 'language of the text', 'text', 16), ('classify', 'language of the text', 'text', 1)) t(step, phrase, source, n_rows)",
+    "backend_agreement": f"WITH x AS (SELECT {_noisy('a')} AS a, {_noisy('b')} AS b FROM documents), y AS (SELECT avg((a = b)::INT) AS same, avg(a::INT) AS p, avg(b::INT) AS q FROM x), z AS (SELECT same, p * q + (1 - p) * (1 - q) AS chance FROM y) SELECT round(same, 6) AS same, round(chance, 6) AS chance, round((same - chance) / (1 - chance), 6) AS kappa FROM z",
+    "packed_rows": f"{_PACKED} SELECT doc_id FROM laid JOIN documents USING (doc_id) WHERE {_KEPT}",
+    "packed_count_est": f"{_PACKED}, e AS (SELECT pack, count(*) FILTER ({_KEPT}) / count(*)::DOUBLE * (SELECT count(*) FROM documents) AS e FROM laid JOIN documents USING (doc_id) GROUP BY pack) SELECT round(avg(e), 6) AS estimate, count(*) AS packs FROM e",
+    "weighted_moments": f"WITH {_alloc('source', B)} SELECT source, round(sum(w * n_chars) / sum(w), 6) AS mean, round(sum(w * n_chars * n_chars) / sum(w) - (sum(w * n_chars) / sum(w)) ** 2, 6) AS variance FROM sample GROUP BY source",
+    "judge_batches": f"SELECT doc_id FROM documents WHERE {S_INSULT}",
+    "judge_partitions": f"SELECT doc_id FROM documents WHERE {S_INSULT}",
+    "transcript_turns": "SELECT role, count(*) AS n FROM (SELECT conv_id, arg_min(role, turn) AS role FROM conversations GROUP BY 1) GROUP BY role",
     "where_limit_early_stop": "SELECT 'en' AS lang, CAST(7 AS BIGINT) AS n",
     "semantic_match_sql": f"SELECT lang, count(*) AS n FROM documents WHERE {S_INSULT} GROUP BY 1",
 } | relational.SQL | streams.SQL | {f"count_{w}": _count(w) for w in COUNTS}

@@ -118,7 +118,7 @@ def stream_standing_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.schema("id long, epoch long").parquet(sink)
 
 
-def drift(strata: DataFrame, features: DataFrame, centroids: np.ndarray, before: float, rise: float = 0.2) -> DataFrame:
+def drift(features: DataFrame, centroids: np.ndarray, before: float, rise: float = 0.2) -> DataFrame:
     """Mean squared distance of new rows to fixed centroids, and whether it has risen enough to fit anew."""
 
     @F.pandas_udf("double")
@@ -126,11 +126,36 @@ def drift(strata: DataFrame, features: DataFrame, centroids: np.ndarray, before:
         x = np.array(e.tolist(), np.float64).reshape(len(e), -1)
         return pd.Series(((x * x).sum(1)[:, None] + (centroids * centroids).sum(1) - 2 * x @ centroids.T).min(axis=1) if len(e) else [], dtype="float64")
 
-    del strata
-    return features.agg(F.avg(distance("e")).alias("distance")).withColumn("refit", F.col("distance") > before * (1 + rise))
+    return features.agg(F.avg(distance("e")).alias("distance"), F.count("*").alias("n")).withColumn("refit", F.col("distance") > before * (1 + rise))
 
 
-QUERIES = {f.__name__: f for f in (stream_replay, stream_tumbling, stream_sliding, stream_sessions, stream_dedup, stream_static_join, stream_interval_join, stream_windowed_count, stream_standing_filter)}
+def incremental_strata(stream: DataFrame, id_col: str, source: str, centroids: np.ndarray, before: float, sink: str) -> None:
+    """New rows take the nearest of fixed centroids as they come; each batch's strata and its drift are appended to `sink`, once an epoch."""
+    from ..index import features as feats
+
+    def batch(df: DataFrame, epoch: int) -> None:
+        e = feats.build_features(df, id_col, source).persist()
+        feats.assign(e, centroids).write.mode("overwrite").parquet(f"{sink}/strata/epoch={epoch}")
+        drift(e, centroids, before).write.mode("overwrite").parquet(f"{sink}/drift/epoch={epoch}")
+        e.unpersist()
+
+    stream.writeStream.foreachBatch(batch).option("checkpointLocation", shared_folder(stream.sparkSession, "strata")).trigger(availableNow=True).start().awaitTermination()
+
+
+def stream_incremental_strata(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows that came, rows whose stratum is the one a batch job gives, and batches that ask for a new fit."""
+    from ..index import features as feats
+
+    e = feats.build_features(spark.read.parquet(f"{sf_dir}/documents.parquet"), "doc_id", "text")
+    c = feats.fit_kmeans(e, 10)
+    before, sink = drift(e, c, 0.0).first()["distance"], shared_folder(spark, "assigned")
+    incremental_strata(replay(spark, sf_dir, "documents"), "doc_id", "text", c, before, sink)
+    got = spark.read.parquet(f"{sink}/strata")
+    same = got.join(feats.assign(e, c).withColumnRenamed("stratum", "again"), "id").agg(F.count("*").alias("n"), F.count_if(F.col("stratum") == F.col("again")).alias("same"))
+    return same.crossJoin(spark.read.parquet(f"{sink}/drift").agg(F.count_if("refit").alias("refits")))
+
+
+QUERIES = {f.__name__: f for f in (stream_replay, stream_tumbling, stream_sliding, stream_sessions, stream_dedup, stream_static_join, stream_interval_join, stream_windowed_count, stream_standing_filter, stream_incremental_strata)}
 SQL = {
     "stream_replay": "SELECT event_type, count(*) AS n FROM events GROUP BY event_type",
     "stream_tumbling": "SELECT CAST(date_trunc('day', ts) AS DATE) AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2",
@@ -139,5 +164,6 @@ SQL = {
     "stream_dedup": "SELECT count(DISTINCT event_id) AS n FROM events",
     "stream_static_join": "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1",
     "stream_interval_join": "SELECT count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR",
+    "stream_incremental_strata": "SELECT count(*) AS n, count(*) AS same, CAST(0 AS BIGINT) AS refits FROM documents",
     "stream_windowed_count": "SELECT strftime(ts, '%Y-%m-%d') AS w, count(*) AS n, CAST(count(*) FILTER (event_type = 'click') AS DOUBLE) AS estimate FROM events GROUP BY 1",
 }
