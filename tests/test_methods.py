@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from virtcol import baselines, metrics, workloads
 from virtcol.engine import Engine, TableInfo
+from virtcol.index import features as feats
 from virtcol.index.sample import allocate, draw, estimate, importance_estimate, importance_sample, optimal_count, standard_error, strata_sizes, uniform_sample
 from virtcol.index.search import active_search, logistic, ordered_probe
 from virtcol.model.base import CachedModel, RuleModel, parse_bool, parse_group_table, parse_index_list, parse_int
@@ -292,6 +293,29 @@ def test_intervals_cover(spark):
     assert inside >= 16
 
 
+def test_average_has_an_interval(spark):
+    rows = spark.range(400).selectExpr("id", "if(id % 4 = 0, 'red', 'blue') AS label", "if(id < 200, 'a', 'b') AS s", "cast(id % 10 AS double) AS v")
+    inside = 0
+    for seed in range(12):
+        e = Engine(spark, RuleModel({"is red": "label = 'red'"}), Costs(60, 60), seed)
+        e.register("t", rows, TableInfo("id", "label", "rows", ("label",), stratum="s"))
+        r = e.sql('SELECT AVG(v) AS m FROM t WHERE "is red"')
+        row = r.intervals().first()
+        assert abs(row["estimate"] - r.df.first()["m"]) < 1e-9 and row["stderr"] > 0
+        inside += row["low"] <= 4.0 <= row["high"]
+    assert inside >= 9
+    e = Engine(spark, RuleModel({"is red": "label = 'red'"}), Costs(400, 400))
+    e.register("t", rows, TableInfo("id", "label", "rows", ("label",), stratum="s"))
+    got = {x["s"]: (x["estimate"], x["stderr"]) for x in e.sql('SELECT s, AVG(v) AS m FROM t WHERE "is red" GROUP BY s').intervals().collect()}
+    assert got == {"a": (4.0, 0.0), "b": (4.0, 0.0)}
+
+
+def test_kmeans_finds_separate_groups():
+    x = np.repeat(np.eye(3, 8, dtype=np.float32), 20, axis=0)
+    assert sorted(map(tuple, feats.lloyd(x, 3))) == sorted(map(tuple, np.eye(3, 8, dtype=np.float32)))
+    assert feats.lloyd(np.zeros((5, 2), np.float32), 4).shape == (1, 2) and feats.lloyd(np.zeros((0, 1), np.float32), 4).shape == (0, 1)
+
+
 def test_explain_and_prompts(spark):
     e = small_engine(spark)
     text = 'SELECT id FROM t WHERE s = "a" AND "is red" LIMIT 3'

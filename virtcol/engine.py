@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -42,23 +42,36 @@ class Result:
     shape: tuple = ()  # (group names, group columns of exact, aggregates)
 
     def intervals(self, z: float = 1.96) -> DataFrame:
-        """For each COUNT and SUM a row per group: estimate, standard error and normal bounds; rows that were counted exactly add no error."""
+        """For each aggregate a row per group: estimate, standard error and normal bounds; rows that were counted exactly add no error.
+
+        AVG is a ratio of two sums; its error is that of the hits' distances from it. A group without a value has no average.
+        """
         if self.sample is None:
             raise ValueError("nothing was estimated")
         names, keys, aggs = self.shape
+
+        def summed(op: str, value: Column | None) -> DataFrame:
+            sure = self.exact.groupBy(*(k.alias(n) for k, n in zip(keys, names))).agg((F.count("*").cast("double") if value is None else F.count(value).cast("double") if op == "count" else F.coalesce(F.sum(value.cast("double")), F.lit(0.0))).alias("estimate"), F.lit(0.0).alias("stderr"))
+            f = F.col("_f") if value is None else F.col("_f") & value.isNotNull()
+            both = intervals(self.sample, op, f, value, names).select(*names, "estimate", "stderr").unionByName(sure)
+            return both.groupBy(*names).agg(F.sum("estimate").alias("estimate"), F.sum("stderr").alias("stderr"))
+
+        def mean(value: Column) -> DataFrame:
+            total, number = (summed(op, value).select(*names, F.col("estimate").alias(c)) for op, c in (("sum", "_total"), ("count", "_number")))
+            ratio = paired(total, number, names).where("_number > 0").select(*names, (F.col("_total") / F.col("_number")).alias("_mean"), "_number")
+            off = replace(self.sample, df=paired(self.sample.df, ratio.select(*names, "_mean"), names))
+            far = intervals(off, "sum", F.col("_f") & value.isNotNull(), value - F.col("_mean"), names).select(*names, F.lit(None).cast("double").alias("_mean"), F.lit(None).cast("double").alias("_number"), "stderr")
+            both = ratio.withColumn("stderr", F.lit(0.0)).unionByName(far).groupBy(*names).agg(F.max("_mean").alias("estimate"), F.max("_number").alias("_number"), F.sum("stderr").alias("stderr"))
+            return both.where("_number > 0").withColumn("stderr", F.col("stderr") / F.col("_number"))
+
         out = None
         for agg, name in aggs:
-            if agg.op == "avg":
-                continue
             value = None if agg.arg == "*" else F.col(agg.arg)
-            sure = self.exact.groupBy(*(k.alias(n) for k, n in zip(keys, names))).agg((F.count("*").cast("double") if value is None else F.count(value).cast("double") if agg.op == "count" else F.coalesce(F.sum(value.cast("double")), F.lit(0.0))).alias("estimate"), F.lit(0.0).alias("stderr"))
-            f = F.col("_f") if value is None else F.col("_f") & value.isNotNull()
-            both = intervals(self.sample, "count" if agg.op == "count" else "sum", f, value, names).select(*names, "estimate", "stderr").unionByName(sure)
-            one = both.groupBy(*names).agg(F.sum("estimate").alias("estimate"), F.sum("stderr").alias("stderr"))
+            one = mean(value) if agg.op == "avg" else summed(agg.op, value)
             one = one.select(F.lit(name).alias("aggregate"), *names, "estimate", "stderr", (F.col("estimate") - z * F.col("stderr")).alias("low"), (F.col("estimate") + z * F.col("stderr")).alias("high"))
             out = one if out is None else out.unionByName(one)
         if out is None:
-            raise ValueError("the query has no COUNT or SUM")
+            raise ValueError("the query has no aggregate")
         return out
 
 
@@ -71,9 +84,10 @@ def paired(a: DataFrame, b: DataFrame, names: list[str]) -> DataFrame:
 
 
 class Engine:
-    def __init__(self, spark: SparkSession, model: RuleModel, costs: planner.Costs = planner.Costs(), seed: int = 0, strata: int = 10, batch: int = 16, selectivity: dict[str, float] | None = None, allow_virtual_sort: bool = False):
+    def __init__(self, spark: SparkSession, model: RuleModel, costs: planner.Costs = planner.Costs(), seed: int = 0, strata: int = 10, batch: int = 16, selectivity: dict[str, float] | None = None, allow_virtual_sort: bool = False, pool: int | None = None):
         self.spark, self.model, self.costs, self.seed, self.strata, self.batch = spark, model, costs, seed, strata, batch
         self.selectivity, self.allow_virtual_sort = selectivity or {}, allow_virtual_sort  # shares that phrases are thought to hold for; 0.5 unless given
+        self.pool = pool  # so many candidates are ranked on the driver between two scans of a search
         self.tables: dict[str, tuple[DataFrame, TableInfo]] = {}
 
     def register(self, name: str, df: DataFrame, info: TableInfo) -> None:
@@ -144,8 +158,10 @@ class Engine:
     def _strata(self, df: DataFrame, info: TableInfo) -> DataFrame:
         if info.stratum:
             return df.withColumn("_s", F.col(info.stratum))
-        e = feats.build_features(df, info.id_col, info.vectors or info.source, "given" if info.vectors else "hashed_words")
-        strata = feats.assign_strata(e, "kmeans", self.strata, self.seed)
+        root = shared_folder(self.spark, "features")  # computed once, read by the fit, the sizes and the draw
+        feats.build_features(df, info.id_col, info.vectors or info.source, "given" if info.vectors else "hashed_words").write.parquet(f"{root}/e")
+        feats.assign_strata(self.spark.read.parquet(f"{root}/e"), "kmeans", self.strata, self.seed).write.parquet(f"{root}/strata")
+        strata = self.spark.read.parquet(f"{root}/strata")
         return df.join(strata.select(F.col("id").alias("_sid"), F.col("stratum").alias("_s")), F.col(info.id_col) == F.col("_sid")).drop("_sid")
 
     def _sample(self, df: DataFrame, info: TableInfo, budget: int) -> WeightedFrame:
@@ -298,7 +314,7 @@ class Engine:
                 left = None if limit is None else limit - len(free or [])
                 if left is None or left > 0:
                     e = feats.build_features(open_, info.id_col, info.vectors or info.source, "given" if info.vectors else "hashed_words").cache()
-                    got = active_search(e, judge, self.costs.row_budget, self.batch, limit=left if "limit" in plan.fused else None, seed=self.seed)
+                    got = active_search(e, judge, self.costs.row_budget, self.batch, limit=left if "limit" in plan.fused else None, seed=self.seed, pool=self.pool)
                     e.unpersist()
                     hits, trace = got.hits, got.trace
                 chosen = kept.where(F.col(info.id_col).isin([*hits, *free])) if free is not None else kept.where(F.col("_decided") | F.col(info.id_col).isin(hits))

@@ -17,11 +17,22 @@ def hashed_words(text: Column, width: int = 256) -> Column:
     def embed(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         from zlib import crc32
 
+        class Slots(dict):
+            """Twice a word's place, one more if it counts down; looked up once a word."""
+
+            def __missing__(self, w):
+                h = crc32(w.encode())
+                self[w] = got = h % width * 2 + (h >> 16 & 1)
+                return got
+
+        slots = Slots()
         for s in batches:
             out = []
             for t in s:
-                h = np.array([crc32(w.encode()) for w in (t or "").lower().split()], np.int64)
-                v = np.bincount(h % width, weights=1.0 - 2.0 * ((h >> 16) & 1), minlength=width) if len(h) else np.zeros(width)
+                h = np.array([*map(slots.__getitem__, (t or "").lower().split())], np.int64)
+                v = np.bincount(h >> 1, weights=1.0 - 2.0 * (h & 1), minlength=width) if len(h) else np.zeros(width)
+                if len(slots) > 300_000:
+                    slots.clear()
                 n = np.sqrt((v * v).sum())
                 out.append((v / n if n else v).astype(np.float32))
             yield pd.Series(out)
@@ -72,21 +83,34 @@ def nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
 def lloyd(x: np.ndarray, k: int, seed: int = 0, rounds: int = 20) -> np.ndarray:
     """At most k centroids of the rows of x, by k-means from distinct rows."""
     rng = np.random.default_rng(seed)
-    c = np.unique(x, axis=0)
-    c = c[rng.permutation(len(c))[:k]]
+    first, picked = set(), []
+    for i in rng.permutation(len(x)):  # k distinct rows; a zero has one sign
+        key = (x[i] + 0.0).tobytes()
+        if key not in first:
+            first.add(key)
+            picked.append(i)
+        if len(picked) == k:
+            break
+    c, last = x[picked], None
     for _ in range(rounds if len(c) else 0):
-        near = np.argmin((c * c).sum(1) - 2 * x @ c.T, axis=1)
-        n = np.bincount(near, minlength=len(c))
-        s = np.zeros(c.shape)
-        np.add.at(s, near, x)
-        c[n > 0] = (s[n > 0] / n[n > 0, None]).astype(np.float32)
+        near = nearest(x, c)
+        if last is not None and (near == last).all():
+            break
+        last, n = near, np.bincount(near, minlength=len(c))
+        s = (near == np.arange(len(c))[:, None]).astype(np.float32) @ x
+        c[n > 0] = s[n > 0] / n[n > 0, None]
     return c
 
 
+def drawn(features: DataFrame, seed: int, sample: int) -> np.ndarray:
+    """The vectors of at most `sample` rows, the first by a hash of the id."""
+    rows = features.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(sample).select("e").toArrow().to_pandas()["e"]
+    return np.array(rows.tolist(), np.float32) if len(rows) else np.zeros((0, 1), np.float32)
+
+
 def fit_kmeans(features: DataFrame, k: int, seed: int = 0, sample: int = 20_000, rounds: int = 20) -> np.ndarray:
     """Centroids from at most `sample` rows (the first by a hash of the id)."""
-    rows = features.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(sample).select("e").toPandas()["e"]
-    return lloyd(np.array(rows.tolist(), np.float32) if len(rows) else np.zeros((0, 1), np.float32), k, seed, rounds)
+    return lloyd(drawn(features, seed, sample), k, seed, rounds)
 
 
 def assign(features: DataFrame, centroids: np.ndarray) -> DataFrame:
@@ -102,9 +126,8 @@ def assign(features: DataFrame, centroids: np.ndarray) -> DataFrame:
 
 def two_level(features: DataFrame, k: int, k2: int, seed: int = 0, sample: int = 20_000) -> DataFrame:
     """(id, stratum): k coarse cells and within each at most k2 fine ones of its own; a row is compared with k + k2 centroids, not k * k2. Strata are numbered cell * k2 + fine."""
-    coarse = fit_kmeans(features, k, seed, sample)
-    rows = features.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(sample).select("e").toPandas()["e"]
-    x = np.array(rows.tolist(), np.float32) if len(rows) else np.zeros((0, 1), np.float32)
+    x = drawn(features, seed, sample)
+    coarse = lloyd(x, k, seed)
     cell = nearest(x, coarse) if len(coarse) else np.zeros(0, int)
     fine = [lloyd(x[cell == c], k2, seed + 1 + c) for c in range(len(coarse))]
 

@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+from bisect import bisect_right
 from dataclasses import dataclass
+from hashlib import md5
+from itertools import accumulate
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -97,29 +100,28 @@ def uniform_sample(df: DataFrame, id_col: str, n: int, seed: int = 0, key=md5_ke
     return WeightedFrame(rows.withColumns({"_stratum": F.lit(0), "_w": F.lit(population / n if n else 0.0)}), population, {0: population}, {0: n})
 
 
-def importance_sample(df: DataFrame, id_col: str, score: Column, n: int, seed: int = 0, floor: float = 0.0) -> DataFrame:
+def importance_sample(df: DataFrame, id_col: str, score: Column, n: int, seed: int = 0, floor: float = 0.0, rows: int = 200_000) -> DataFrame:
     """n draws with replacement, each row with probability in proportion to its floored score: rows with `_p` and `_draw`.
 
-    Scores are summed per hash bucket first; draws find their bucket by its running sum and then their row in it, so no
-    task sorts the table.
+    Scores are summed per bucket of about `rows` rows, by a hash of the id; a draw finds its bucket by the buckets' running
+    sum, and only buckets that a draw fell into are ordered, a task each.
     """
-    buckets = 64
     s = F.greatest(F.coalesce(score.cast("double"), F.lit(0.0)), F.lit(float(floor)))
-    base = df.withColumns({"_s": s, "_bucket": F.pmod(F.xxhash64(id_col), F.lit(buckets))}).where("_s > 0")
-    totals = {r[0]: r[1] for r in base.groupBy("_bucket").agg(F.sum("_s")).collect()}  # 64 rows at most
-    whole = sum(totals.values())
-    if not whole:
+    base = df.withColumn("_s", s).where("_s > 0")
+    buckets = max(64, base.count() // rows)
+    base = base.withColumn("_bucket", F.pmod(F.conv(F.substring(F.md5(F.concat(F.lit("bucket:"), F.col(id_col).cast("string")).cast("binary")), 1, 8), 16, 10).cast("long"), F.lit(buckets)))
+    totals = sorted((r[0], r[1]) for r in base.where("_bucket IS NOT NULL").groupBy("_bucket").agg(F.sum("_s")).collect())  # a row per bucket
+    ends = list(accumulate(t for _, t in totals))
+    if not ends:
         return base.limit(0).withColumns({"_p": F.lit(0.0), "_draw": F.lit(0)}).drop("_s", "_bucket")
-    start, at = {}, 0.0
-    for b in sorted(totals):
-        start[b], at = at, at + totals[b]
-    offset = F.create_map(*(F.lit(x) for b, v in start.items() for x in (b, v)))
-    inside = Window.partitionBy("_bucket").orderBy(id_col)
-    placed = base.withColumn("_hi", offset[F.col("_bucket")] + F.sum("_s").over(inside)).withColumn("_lo", F.col("_hi") - F.col("_s"))
-    u = (F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:draw:"), F.col("_draw").cast("string")).cast("binary")), 1, 12), 16, 10).cast("double") / F.lit(float(16**12))) * F.lit(whole)
-    draws = df.sparkSession.range(n).select(F.col("id").cast("int").alias("_draw")).withColumn("_u", u)
-    edges = F.array(*(F.struct(F.lit(b).cast("long").alias("b"), F.lit(v).alias("v")) for b, v in sorted(start.items())))
-    draws = draws.withColumn("_bucket", F.element_at(F.filter(edges, lambda e: e["v"] <= F.col("_u")), -1)["b"])
+    whole, found = ends[-1], []
+    for k in range(n):
+        u = int(md5(f"{seed}:draw:{k}".encode()).hexdigest()[:12], 16) / 16**12 * whole
+        i = min(bisect_right(ends, u), len(ends) - 1)
+        found.append((k, totals[i][0], u - (ends[i - 1] if i else 0.0)))
+    draws = df.sparkSession.createDataFrame(found, "_draw int, _bucket long, _u double")  # n rows
+    hit = base.join(F.broadcast(draws.select("_bucket").distinct()), "_bucket", "left_semi")
+    placed = hit.withColumn("_hi", F.sum("_s").over(Window.partitionBy("_bucket").orderBy(id_col))).withColumn("_lo", F.col("_hi") - F.col("_s"))
     return placed.join(F.broadcast(draws), "_bucket").where("_lo <= _u AND _u < _hi").withColumn("_p", F.col("_s") / F.lit(whole)).drop("_s", "_bucket", "_hi", "_lo", "_u")
 
 

@@ -112,11 +112,16 @@ def asof_join(s, d):
 
 
 def semantic_join(s, d):
-    """Documents that quote a benchmark passage: candidates share the passage's first five words, then the pair is judged."""
+    """Documents that quote a benchmark passage: candidates share the passage's first five words, then the pair is judged.
+
+    Ids and five-word keys alone are multiplied; texts are read again for candidates.
+    """
     b = read(s, d, "benchmark").select("item_id", F.col("text").alias("passage"), F.array_join(F.slice(F.split("text", " "), 1, 5), " ").alias("k"))
-    w = F.split(F.col("text"), r"[ \n]")
-    docs = read(s, d, "documents").select("doc_id", "text", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - 4, F.lit(1))), lambda i: F.array_join(F.slice(w, i, 5), " ")))).alias("k"))
-    return docs.join(b, "k").where(F.contains("text", "passage")).select("doc_id", "item_id").distinct()
+    docs = read(s, d, "documents").select("doc_id", "text")
+    keys = lambda w: F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - 4, F.lit(1))), lambda i: F.array_join(F.slice(w, i, 5), " "))
+    once = F.transform(F.array(F.split("text", r"[ \n]")), keys)[0]  # bound as a variable, so a text is split once and not for each key
+    pairs = docs.where("text IS NOT NULL").select("doc_id", F.explode(F.array_distinct(once)).alias("k")).join(b.select("item_id", "k"), "k").select("doc_id", "item_id").distinct()
+    return docs.join(pairs, "doc_id").join(b.select("item_id", "passage"), "item_id").where(F.contains("text", "passage")).select("doc_id", "item_id").distinct()
 
 
 def pricing(s, d):

@@ -5,6 +5,7 @@ from __future__ import annotations
 import re
 
 import pandas as pd
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -96,7 +97,7 @@ def manifest(s, d):
 
 def importance(s, d):
     drawn = importance_sample(docs(s, d), "doc_id", F.when(F.col("lang") == "fr", 4.0).otherwise(1.0), 200, 0, 0.5)
-    return importance_estimate(drawn, 200, F.expr("lang = 'fr'"))
+    return six(importance_estimate(drawn, 200, F.expr("lang = 'fr'")), "estimate")
 
 
 def optimal(s, d):
@@ -127,6 +128,26 @@ def curve(s, d):
     return metrics.hit_rate_curve(active_trace(s, d))
 
 
+def curve_of_chance(s, d):
+    """The curve of judging a uniform draw row by row."""
+    judged = uniform_sample(docs(s, d), "doc_id", 96, 0).df.select(F.md5(F.concat(F.lit("0:"), F.col("doc_id").cast("string")).cast("binary")).alias("key"), "doc_id", F.expr(f"coalesce({S_FR}, false)").alias("hit"))
+    steps = judged.select(F.lit(0).alias("run"), F.row_number().over(Window.orderBy("key", "doc_id")).alias("step"), "doc_id", "hit")  # 96 rows
+    return six(metrics.hit_rate_curve(steps), "hit_rate").select("step", "doc_id", "hit", "hit_rate", "hits")
+
+
+def noisy_search(s, d):
+    """Exploration by either schedule changes the order of a search, not what a budget for all rows finds."""
+    e = read(s, d, "embeddings")
+    yes = {r[0] for r in e.where("label = 3").select("vec_id").collect()}
+    f = feats.build_features(e, "vec_id", "embedding", "given").cache()
+    n, rows = f.count(), []
+    for schedule in ("inverse_t", "exponential"):
+        got = active_search(f, lambda ids: [i in yes for i in ids], n, max(16, n // 4), noise=0.5, schedule=schedule)
+        rows += [(schedule, i) for i in got.hits]
+    f.unpersist()
+    return s.createDataFrame(rows, "schedule string, vec_id long")
+
+
 def kmeans(s, d):
     return feats.manifest(feats.assign_strata(feats.build_features(docs(s, d), "doc_id", "text"), "kmeans", 10))
 
@@ -347,6 +368,11 @@ def interval(s, d):
     return six(workloads.engine(s, d, B, 0, stratum="source").sql('SELECT COUNT(*) AS n FROM documents WHERE "text is French"').intervals().select("estimate", "stderr", "low", "high"), "estimate", "stderr", "low", "high")
 
 
+def interval_avg(s, d):
+    """AVG with its standard error and bounds, by the dialect."""
+    return six(workloads.engine(s, d, B, 0, stratum="source").sql('SELECT AVG(n_chars) AS mean FROM documents WHERE "text is French"').intervals().select("estimate", "stderr", "low", "high"), "estimate", "stderr", "low", "high")
+
+
 def dialog_topics(s, d):
     """SELECT of a phrase under a structured and a virtual condition: what is returned holds, with its value."""
     got = workloads.engine(s, d, 64).sql('SELECT conv_id, "topic of the dialog" AS topic FROM dialogs WHERE n_turns > 1 AND "opens with a system instruction" LIMIT 5').df
@@ -447,7 +473,7 @@ QUERIES = {
     "packed_prompt_layout": pack_layout, "packed_count_est": packed_est, "packed_group_est": packed_groups,
     "relative_error_table": rel_errors, "f1_table": f1, "positive_share": share, "cost_table": costs, "budget_sweep": sweep, "sampler_study": study, "backend_swap": swap,
     "emd_w19": emd_groups, "repeat_uniform_w5": repeated, "latency_by_stage": latency, "search_token_budget": token_limited, "where_limit_early_stop": early_stop, "semantic_match_sql": by_udf,
-    "vsql_interval": interval, "vsql_w30_topics": dialog_topics, "plan_costs": plan_costs, "prompt_calls": prompts, "backend_agreement": agreement, "packed_rows": packed_ids,
+    "vsql_interval": interval, "vsql_interval_avg": interval_avg, "hit_rate_curve_chance": curve_of_chance, "active_search_noise": noisy_search, "vsql_w30_topics": dialog_topics, "plan_costs": plan_costs, "prompt_calls": prompts, "backend_agreement": agreement, "packed_rows": packed_ids,
     "weighted_moments": moments, "judge_batches": judged_batches, "judge_partitions": judged_partitions, "transcript_turns": turns,
 } | {f"sampler_study_{w}": study_of(w) for w in ("w1", "w2", "w4")} | {f"learning_curves_{w}": curves_of(w) for w in ("w5", "w7", "w8", "w9")} | {f"retrieval_sweep_{w}": sweep_of(w) for w in ("w1b", "w4")} | VSQL | relational.QUERIES | streams.QUERIES | {f"count_{w}": count_est(w) for w in COUNTS} | {f"retrieval_{w}": retrieval(w) for w in COUNTS}
 
@@ -540,6 +566,10 @@ SELECT doc_id, CAST(pack AS INTEGER) AS pack, CAST(row_number() OVER (PARTITION
     "vsql_top_by_length": "SELECT doc_id, n_chars FROM documents WHERE lang = 'fr' ORDER BY n_chars DESC, doc_id LIMIT 5",
     "repeat_uniform_w5": f"WITH t AS (SELECT count(*)::DOUBLE AS n, count(*) FILTER (lang = 'fr') AS truth FROM documents), r AS (SELECT seed, lang, row_number() OVER (PARTITION BY seed ORDER BY md5(seed || ':' || doc_id), doc_id) AS k FROM documents, (SELECT unnest(range(8)) AS seed)), h AS (SELECT seed, count(*) FILTER (lang = 'fr') AS hits FROM r WHERE k <= {B} GROUP BY 1), e AS (SELECT abs(hits * n / {B} - truth) / truth AS e FROM h, t) SELECT round(avg(e), 6) AS mean, round(stddev_samp(e), 6) AS sd, count(*) AS runs FROM e",
     "vsql_interval": f"WITH {_alloc('source', B)}, c AS (SELECT g, max(n)::DOUBLE AS n, max(k)::DOUBLE AS k, count(*) FILTER (lang = 'fr')::DOUBLE AS a FROM sample GROUP BY g), e AS (SELECT sum(n / k * a) AS e, sqrt(sum(n * n * (1 - k / n) * CASE WHEN k > 1 THEN (a - a * a / k) / (k - 1) ELSE a END / k)) AS s FROM c) SELECT round(e, 6) AS estimate, round(s, 6) AS stderr, round(e - 1.96 * s, 6) AS low, round(e + 1.96 * s, 6) AS high FROM e",
+    "vsql_interval_avg": f"WITH {_alloc('source', B)}, t AS (SELECT sum(w * n_chars) FILTER (lang = 'fr') / sum(w) FILTER (lang = 'fr') AS m, sum(w) FILTER (lang = 'fr') AS c FROM sample), v AS (SELECT g, max(n)::DOUBLE AS n, max(k)::DOUBLE AS k, sum(CASE WHEN lang = 'fr' THEN n_chars - m ELSE 0 END) AS a, sum(CASE WHEN lang = 'fr' THEN (n_chars - m) ** 2 ELSE 0 END) AS b FROM sample, t GROUP BY g), e AS (SELECT max(m) AS e, sqrt(sum(n * n * (1 - k / n) * CASE WHEN k > 1 THEN (b - a * a / k) / (k - 1) ELSE b END / k)) / max(c) AS s FROM v, t) SELECT round(e, 6) AS estimate, round(s, 6) AS stderr, round(e - 1.96 * s, 6) AS low, round(e + 1.96 * s, 6) AS high FROM e",
+    "hit_rate_curve_chance": f"WITH j AS (SELECT row_number() OVER (ORDER BY md5('0:' || doc_id), doc_id) AS step, doc_id, coalesce(lang = 'fr', false) AS hit FROM {_UNIFORM.format(0, 96)}) SELECT CAST(step AS INTEGER) AS step, doc_id, hit, round(avg(hit::INT) OVER (ORDER BY step ROWS BETWEEN 15 PRECEDING AND CURRENT ROW), 6) AS hit_rate, CAST(sum(hit::INT) OVER (ORDER BY step) AS BIGINT) AS hits FROM j",
+    "active_search_noise": "SELECT schedule, vec_id FROM embeddings, (VALUES ('inverse_t'), ('exponential')) t(schedule) WHERE label = 3",
+    "importance_est": f"WITH s AS (SELECT doc_id, lang, CASE WHEN lang = 'fr' THEN 4.0::DOUBLE ELSE 1.0::DOUBLE END AS s, ('0x' || substr(md5('bucket:' || doc_id), 1, 8))::BIGINT % greatest(64, (SELECT count(*) FROM documents) // 200000) AS b FROM documents), p AS (SELECT *, sum(s) OVER (ORDER BY b, doc_id) AS hi, sum(s) OVER () AS whole FROM s), u AS (SELECT ('0x' || substr(md5('0:draw:' || k), 1, 12))::BIGINT / 281474976710656.0::DOUBLE * (SELECT sum(s) FROM s) AS u FROM (SELECT unnest(range(200)) AS k)) SELECT round(sum(CASE WHEN lang = 'fr' THEN whole / s ELSE 0 END) / 200.0::DOUBLE, 6) AS estimate FROM p JOIN u ON hi - s <= u AND u < hi",
     "vsql_w30_topics": "SELECT 'system' AS role, CAST(5 AS BIGINT) AS n, CAST(5 AS BIGINT) AS topics",
     "prompt_calls": "SELECT * FROM (VALUES ('where', 'insulting', 'text', 1), ('taxonomy', 'language of the text', 'text', 16), ('classify', 'language of the text', 'text', 1)) t(step, phrase, source, n_rows)",
     "backend_agreement": f"WITH x AS (SELECT {_noisy('a')} AS a, {_noisy('b')} AS b FROM documents), y AS (SELECT avg((a = b)::INT) AS same, avg(a::INT) AS p, avg(b::INT) AS q FROM x), z AS (SELECT same, p * q + (1 - p) * (1 - q) AS chance FROM y) SELECT round(same, 6) AS same, round(chance, 6) AS chance, round((same - chance) / (1 - chance), 6) AS kappa FROM z",
