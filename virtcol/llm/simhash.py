@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, add_columns, arrow_pass, documents, row_key
+from .common import Scratch, add_columns, arrow_pass, bounded_broadcast, documents, row_key
 from .components import components
 
 SEED = 42
@@ -40,6 +40,8 @@ SMALL = 8
 BANDS, ROWS = 16, 4
 #: Shares into which the pairs of one text are split where its shingles are joined to them.
 SALTS = 32
+#: Rows of 64 bits, one bit a document, that may be broadcast; beyond them Spark joins by shuffle.
+BIT_WORDS = 2_000_000
 
 
 def shingle_hashes(text: bytes, words: int, xxh64) -> np.ndarray:
@@ -271,22 +273,27 @@ def alike(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
 def representatives(docs: DataFrame, words: int = 5, radius: int = 2, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row of each group of texts joined by pairs of that similarity: that with the least id, or any one of the rows that share it; groups without an id keep one row.
 
-    Null and wordless texts are one group.  Shingle sets are joined to candidates only; texts once, to the rows that stay.
+    Null and wordless texts are one group.  Shingle sets are joined to candidates only.  Texts are never joined by shuffle:
+    rows are written with a number each, and a bit for each number, 64 in a broadcast row, tells which stay.
     """
     scratch = Scratch(docs.sparkSession, "simhash")
-    marked = sketches(docs.select(F.col(id_col), F.col(text_col), row_key(id_col, text_col).alias("__key")), words, text_col)
+    texts = scratch.keep(docs.withColumn("__row", F.monotonically_increasing_id()), "texts")
+    marked = sketches(texts.select(F.col(id_col), F.col(text_col), "__row", row_key(id_col, text_col).alias("__key")), words, text_col)
     kept = scratch.keep(marked, "sketches")
-    nodes = scratch.keep(kept.groupBy("node").agg(F.first("bands").alias("bands"), F.min("simhash").alias("simhash"), F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")), "nodes")
+    first = F.min_by("__row", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key", "__row")).alias("__row")
+    nodes = scratch.keep(kept.groupBy("node").agg(F.first("bands").alias("bands"), F.min("simhash").alias("simhash"), first), "nodes")
     banded, crowded = band_pairs(nodes, scratch)
     pairs = scratch.keep(banded.union(simhash_pairs(nodes, radius, scratch)).distinct(), "pairs")
     needed = pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct()
-    holders = nodes.select("node", "__key").join(needed, "node", "left_semi")
-    sets = scratch.keep(kept.select("__key", "shingles").join(holders, "__key").dropDuplicates(["__key"]).select("node", "shingles"), "sets")
+    holders = nodes.select("node", "__row").join(needed, "node", "left_semi")
+    sets = scratch.keep(kept.select("__row", "shingles").join(holders, "__row").select("node", "shingles"), "sets")
     roots = scratch.keep(components(alike(pairs, sets, similarity), scratch), "roots")
     rest = scratch.keep(rest_pairs(crowded, roots, sets, similarity, scratch), "rest")
     more = scratch.keep(alike(rest, sets, similarity), "more")
     if not more.isEmpty():
         roots = scratch.keep(components(roots.select(F.col("node").alias("u"), F.col("root").alias("v")).union(more), scratch), "roots")
-    named = kept.select(id_col, "__key", "node").join(roots, "node", "left").select(id_col, "__key", F.coalesce("root", "node").alias("g"))
-    stay = named.groupBy("g").agg(F.min_by("__key", F.struct(F.col(id_col).isNull(), F.col(id_col), "__key")).alias("__key")).select("__key").distinct()
-    return docs.withColumn("__key", row_key(id_col, text_col)).join(stay, "__key", "left_semi").dropDuplicates(["__key"]).drop("__key")
+    named = kept.select(id_col, "__row", "__key", "node").join(roots, "node", "left").select(id_col, "__row", "__key", F.coalesce("root", "node").alias("g"))
+    stay = named.groupBy("g").agg(first)
+    bits = scratch.keep(stay.groupBy(F.shiftright("__row", 6).alias("__word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(__row & 63 as int))")).alias("__bits")), "bits")
+    found = texts.join(bounded_broadcast(bits, BIT_WORDS), F.shiftright(F.col("__row"), 6) == F.col("__word"))
+    return found.where(F.expr("shiftrightunsigned(__bits, cast(__row & 63 as int)) & 1 = 1")).drop("__row", "__word", "__bits")
